@@ -6,9 +6,37 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from hopframe.llm import bpe, exact_dedup, near_dedup
-from hopframe.llm.common import table
+from hopframe.llm import bpe, exact_dedup, language_id, near_dedup, packing, toxicity, vector_search
+from hopframe.llm.common import fold, table
+
+
+#: rows of this remainder are held out of every fit
+HELD_OUT = 2
+
+
+def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    languages, matrix = language_id.fitted(docs, fold() != HELD_OUT)
+    found = language_id.identified(docs, languages, matrix)
+    return found.select("doc_id", (fold() == HELD_OUT).alias("held_out"), "lang_pred", "score")
+
+
+def op3_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_search.nearest_neighbours(table(spark, sf_dir, "embeddings"))
+
+
+def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return packing.packed(packing.tokenised_pieces(docs, public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.PATTERN))
+
+
+def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    weights = toxicity.fitted(docs, table(spark, sf_dir, "labels"), fold() != HELD_OUT)
+    found = toxicity.scored(docs, weights)
+    return found.select("doc_id", (fold() == HELD_OUT).alias("held_out"), "score", "predicted", F.size("sentences").alias("n_offending"))
 
 
 def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,9 +52,13 @@ def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_language_id": op1_language_id,
     "op2_near_dedup": op2_near_dedup,
+    "op3_vector_search": op3_vector_search,
+    "op4_packing": op4_packing,
     "op8_bpe": op8_bpe,
     "op9_exact_dedup": op9_exact_dedup,
+    "op10_toxicity": op10_toxicity,
 }
 
 _FOLDED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
