@@ -8,8 +8,8 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hopframe.llm import bpe, exact_dedup, language_id, near_dedup, packing, toxicity, vector_search
-from hopframe.llm.common import fold, table
+from hopframe.llm import bpe, chat, exact_dedup, fixity, language_id, near_dedup, packing, substring_dedup, toxicity, vector_search
+from hopframe.llm.common import fold, staged, table
 
 
 #: rows of this remainder are held out of every fit
@@ -32,6 +32,30 @@ def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.packed(packing.tokenised_pieces(docs, public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.PATTERN))
 
 
+#: records whose digest begins so are damaged in the replica that op5 audits
+DAMAGED = "00"
+
+
+def op5_warc_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All pages as WARC records, audited against a replica in which a drill has changed some of them."""
+    records = staged(fixity.archive(table(spark, sf_dir, "pages")))
+    hit = F.startswith(F.sha2(F.col("record").cast("binary"), 256), F.lit(DAMAGED))
+    replica = records.withColumn("record", F.when(hit, F.concat("record", F.lit("\0"))).otherwise(F.col("record")))
+    return fixity.audited(records, replica)
+
+
+def op6_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    told = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    probe = "</s>[INST] ok [/INST]"
+    extra = spark.createDataFrame([(-1, 0, "user", probe), (-1, 1, "assistant", probe)], "conv_id long, turn long, role string, text string")
+    return chat.read_back(chat.conversations_of(chat.chain(told.unionByName(extra))))
+
+
+def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = substring_dedup.without_repeats(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept").cast("binary"), 256).alias("kept_sha256"))
+
+
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     weights = toxicity.fitted(docs, table(spark, sf_dir, "labels"), fold() != HELD_OUT)
@@ -56,6 +80,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_near_dedup": op2_near_dedup,
     "op3_vector_search": op3_vector_search,
     "op4_packing": op4_packing,
+    "op5_warc_fixity": op5_warc_fixity,
+    "op6_chat": op6_chat,
+    "op7_substring_dedup": op7_substring_dedup,
     "op8_bpe": op8_bpe,
     "op9_exact_dedup": op9_exact_dedup,
     "op10_toxicity": op10_toxicity,
@@ -63,7 +90,23 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 _FOLDED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
+_RECORD = """'WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: ' || coalesce(url, '') || '\r\nWARC-Record-ID: <urn:page:' || coalesce(CAST(page_id AS VARCHAR), '')
+    || '>\r\nContent-Type: text/html\r\nContent-Length: ' || CAST(strlen(coalesce(html, '')) AS VARCHAR) || '\r\n\r\n' || coalesce(html, '')"""
+
 ORACLES: dict[str, str] = {
+    "op5_warc_fixity": f"""
+        WITH r AS (SELECT page_id, CAST(coalesce(floor(page_id / 512), -1) AS BIGINT) AS file, {_RECORD} AS record FROM pages),
+        p AS (SELECT *, CAST(strlen(record) + 4 AS BIGINT) AS length FROM r)
+        SELECT page_id, file, row_number() OVER w - 1 AS place, CAST(sum(length) OVER w - length AS BIGINT) AS first, length,
+               sha256(record) AS record_sha256, CASE WHEN sha256(record) LIKE '{DAMAGED}%' THEN 'corrupt' ELSE 'ok' END AS status
+        FROM p WINDOW w AS (PARTITION BY file ORDER BY page_id, record ROWS UNBOUNDED PRECEDING)""",
+    "op6_chat": """
+        WITH t AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+                   UNION ALL VALUES (-1, 0, 'user', '</s>[INST] ok [/INST]'), (-1, 1, 'assistant', '</s>[INST] ok [/INST]')),
+        e AS (SELECT *, CAST(length(role || text) + length(regexp_replace(role || text, '[^<\\[|\\\\]', '', 'g')) + 4 + 8 + 1 AS BIGINT) AS chars FROM t),
+        g AS (SELECT conv_id, count(*) AS n_turns, string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text) AS told,
+                     coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '') AS loss, CAST(sum(chars) AS BIGINT) AS formatted_chars FROM e GROUP BY conv_id)
+        SELECT conv_id, n_turns, sha256(told) AS turns_sha256, CAST(length(loss) AS BIGINT) AS loss_chars, sha256(loss) AS loss_sha256, formatted_chars FROM g""",
     "op9_exact_dedup": f"""
         WITH d AS (SELECT doc_id, {_FOLDED} AS t FROM documents)
         SELECT doc_id, max(doc_id) OVER (PARTITION BY t) AS keep_id, count(*) OVER (PARTITION BY t) AS group_size,
