@@ -28,7 +28,8 @@ REGISTERS = 256
 BANDS = 32
 MANTISSA_BITS = 18
 HASH_BITS = 52
-#: a set below this size reaches 0.85 only with an equal set
+#: times that shingles held by one candidate only are counted among those that stay
+UNIQUE_ROUNDS = 3
 EMPTY = np.uint64(1 << 63)
 #: expected equal registers of disjoint sets: constant of the published HyperMinHash estimator
 COLLISION_CONSTANT = 0.169919487159739
@@ -172,8 +173,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     candidates = members.select(F.col("rep").alias("doc_id")).distinct()
     sets = staged(slim.join(candidates, "doc_id", "left_semi").mapInArrow(_full_sets(width), "doc_id long, n long, regs array<int>, grams array<long>").dropDuplicates(["doc_id"]))
 
-    alone = sets.select("doc_id", F.explode("grams").alias("g")).groupBy("g").agg(F.count("*").alias("c"), F.min("doc_id").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("u"))
-    able = sets.select(F.col("doc_id").alias("rep"), "n").join(alone, "rep", "left").fillna(0, ["u"]).where(100 * (F.col("n") - F.col("u")) >= percent * F.col("n"))
+    able = sets.select(F.col("doc_id").alias("rep"), "n")
+    for _ in range(UNIQUE_ROUNDS):  # who leaves makes more shingles unique among those who stay
+        grams = sets.join(able.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select("doc_id", F.explode("grams").alias("g"))
+        alone = grams.groupBy("g").agg(F.count("*").alias("c"), F.min("doc_id").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("u"))
+        able = staged(able.select("rep", "n").join(alone, "rep", "left").fillna(0, ["u"]).where(100 * (F.col("n") - F.col("u")) >= percent * F.col("n")))
     met = members.drop("n").join(able, "rep")
     size = met.groupBy("band", "key").agg(F.count("*").alias("c")).where("c > 1")
     met = staged(met.join(size, ["band", "key"]))
