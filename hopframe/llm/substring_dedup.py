@@ -206,11 +206,12 @@ def _cleaned(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 out[0].append(total)
                 out[1].append(total - len(words))
                 out[2].append(b" ".join(words).decode("utf-8"))
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.string())], ["doc_id", "n_words", "n_removed", "kept"])
+            columns = [part.column(0), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.string())]
+            yield pa.RecordBatch.from_arrays([*columns, *part.columns[3:]], ["doc_id", "n_words", "n_removed", "kept", *part.schema.names[3:]])
 
 
-def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", part_rows: int = PART_ROWS) -> DataFrame:
-    """doc_id, n_words, n_removed and kept (the words that stay, joined by a space) of every row.
+def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", part_rows: int = PART_ROWS, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, n_words, n_removed, kept (the words that stay, joined by a space) and the columns ``keep`` of every row.
 
     A word goes if a window over it has words that also start anywhere else, in the same text included; every window
     is judged on the input. Words are runs of bytes other than space and tab to carriage return, unchanged. Null and
@@ -225,8 +226,13 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, id_
     part = F.pmod(F.xxhash64("doc_id", "begin"), F.col("parts")).cast("int")
     buckets = strings.withColumn("part", part).repartition("mini", "part").sortWithinPartitions("mini", "part")
     told = buckets.mapInArrow(_counted(window), "doc_id long, low long, high long, one long, two long")
-    wide = told.where("one is not null")
-    twice = wide.groupBy("one", "two").agg(F.count("*").alias("n")).where("n > 1")
-    across = wide.where("doc_id is not null").join(twice, ["one", "two"], "left_semi")
+    loose = told.where("one is not null")
+    twice = loose.groupBy("one", "two").agg(F.count("*").alias("n")).where("n > 1")
+    across = loose.where("doc_id is not null").join(twice, ["one", "two"], "left_semi")
     spans = told.where("one is null").unionByName(across).groupBy("doc_id").agg(F.collect_list(F.struct("low", "high")).alias("spans"))
-    return slim.join(spans, "doc_id", "left").mapInArrow(_cleaned, "doc_id long, n_words long, n_removed long, kept string")
+    own = [F.col(c).alias(f"kept_{i}") for i, c in enumerate(keep)]
+    wide = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *own)
+    extra = "".join(f", kept_{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep))
+    found = wide.join(spans, "doc_id", "left").select("doc_id", "text", "spans", *(f"kept_{i}" for i in range(len(keep))))
+    found = found.mapInArrow(_cleaned, f"doc_id long, n_words long, n_removed long, kept string{extra}")
+    return found.select("doc_id", "n_words", "n_removed", "kept", *(F.col(f"kept_{i}").alias(c) for i, c in enumerate(keep)))
