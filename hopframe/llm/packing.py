@@ -8,6 +8,7 @@ that stay open at the end are packed once more over several blocks together, eac
 
 from __future__ import annotations
 
+import json
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -15,11 +16,11 @@ from functools import lru_cache
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import regex
+import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hopframe.llm.common import Remembered, staged
+from hopframe.llm.common import staged
 
 CAPACITY = 1024
 END_ID = 2
@@ -57,30 +58,64 @@ def sum_of_squares(sizes: np.ndarray, capacity: int = CAPACITY) -> tuple[np.ndar
     return bins, places
 
 
-@lru_cache(maxsize=2)
-def _words(path: str, pattern: str) -> tuple[Remembered, regex.Pattern]:
-    from tokenizers import Tokenizer
+class JsonTokenizer:
+    """Ids as the tokenizers library gives them for a JSON file, without special tokens.
+
+    A plain byte-level BPE whose ids follow its merges is the same as a rank table, which is encoded faster; any
+    other file, and a text that the fast encoder refuses, goes through the library itself.
+    """
 
-    own = Tokenizer.from_file(path)
-    own.encode_special_tokens = True  # the special strings are ordinary text
+    def __init__(self, path: str, pattern: str):
+        from tokenizers import Tokenizer
+
+        self.library = Tokenizer.from_file(path)
+        self.library.encode_special_tokens = True  # the special strings are ordinary text
+        self.fast = self._ranked(path, pattern)
+
+    @staticmethod
+    def _ranked(path: str, pattern: str) -> tiktoken.Encoding | None:
+        with open(path, encoding="utf-8") as lines:
+            raw = json.load(lines)
+        model, split = raw["model"], raw.get("pre_tokenizer") or {}
+        plain = model.get("type") == "BPE" and not raw.get("normalizer") and split.get("type") == "ByteLevel" and not split.get("add_prefix_space") and split.get("use_regex")
+        plain = plain and not any(model.get(k) for k in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges"))
+        if not plain:
+            return None
+        merges = [m.split(" ") if isinstance(m, str) else m for m in model["merges"]]
+        ids = [model["vocab"].get(a + b) for a, b in merges]
+        if None in ids or any(x >= y for x, y in zip(ids, ids[1:])) or len(model["vocab"]) != len(ids) + 256:
+            return None
+        shown = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b]
+        byte = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(sorted(set(range(256)) - set(shown)))}
+        ranks = {bytes(byte[c] for c in token): i for token, i in model["vocab"].items()}
+        return tiktoken.Encoding("json", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+
+    def __call__(self, text: str) -> np.ndarray:
+        if self.fast is not None:
+            try:
+                return self.fast.encode_to_numpy(text, disallowed_special=())
+            except BaseException as e:  # its Rust code may panic on extreme texts, which is no Exception
+                if isinstance(e, KeyboardInterrupt | SystemExit | MemoryError):
+                    raise
+        return np.array(self.library.encode(text, add_special_tokens=False).ids, np.uint32)
 
-    def compute(word: str) -> bytes:
-        return np.array(own.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
 
-    return Remembered(compute), regex.compile(pattern)
+@lru_cache(maxsize=2)
+def tokenizer(path: str, pattern: str) -> JsonTokenizer:
+    return JsonTokenizer(path, pattern)
 
 
 def _pieces(path: str, pattern: str, capacity: int, end_id: int):
     end = np.array([end_id], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, split = _words(path, pattern)
+        encode = tokenizer(path, pattern)
         for batch in batches:
             for low in range(0, len(batch), 512):
                 part = batch.slice(low, 512)
                 out: list[list[int]] = [[], [], [], [], []]
                 for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).fill_null("").to_pylist()):
-                    ids = b"".join(map(words.__getitem__, split.findall(text))) + end
+                    ids = encode(text).astype("<u4").tobytes() + end
                     n, start, piece = len(ids) // 4, 0, 0
                     length = (n - 1) % capacity + 1
                     while start < n:
@@ -95,7 +130,7 @@ def _pieces(path: str, pattern: str, capacity: int, end_id: int):
 def tokenised_pieces(docs: DataFrame, tokenizer_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32 of every piece of every row. Null and empty texts are their end mark.
 
-    ``pattern`` must cut a text as the tokenizer's own pre-tokenizer does; each word's ids are remembered.
+    ``pattern`` must cut a text as the tokenizer's own pre-tokenizer does.
     """
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return slim.mapInArrow(_pieces(tokenizer_path, pattern, capacity, end_id), "doc_id long, piece long, start long, length long, ids_crc32 long")
