@@ -60,7 +60,7 @@ def string_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     if column.null_count:
-        column = column.fill_null("")
+        column = column.fill_null(b"" if pa.types.is_binary(column.type) else "")
     wide = pa.types.is_large_string(column.type)
     buffers, n = column.buffers(), len(column)
     if n == 0:

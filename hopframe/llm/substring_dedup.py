@@ -17,10 +17,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hopframe.llm.common import mixed, text_chunks, window_hashes, word_hashes, word_spans
+from hopframe.llm.common import mixed, row_chunks, staged, string_buffers, text_chunks, window_hashes, word_hashes, word_spans
 
 WINDOW = 35
 GRAM = 6
@@ -79,11 +80,33 @@ def _minimisers(window: int, gram: int):
     return run
 
 
+def _compressed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts as zstd frames, for the way through a shuffle."""
+    own = zstandard.ZstdCompressor(level=1)
+    for batch in batches:
+        for low, high, data, offsets in text_chunks(batch.column(1)):
+            raw, ends = data.tobytes(), offsets.tolist()
+            frames = pa.array([own.compress(raw[a:b]) for a, b in zip(ends[:-1], ends[1:])], pa.binary())
+            part = batch.slice(low, high - low)
+            yield pa.RecordBatch.from_arrays([part.column(0), frames, *part.columns[2:]], batch.schema.names)
+
+
+def _expanded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches with plain texts again, a few MB at a time."""
+    own = zstandard.ZstdDecompressor()
+    for batch in batches:
+        _, offsets = string_buffers(batch.column(1))
+        for low, high in row_chunks(offsets, 1 << 20):
+            part = batch.slice(low, high - low)
+            texts = pa.array([own.decompress(x.as_py()) for x in part.column(1)], pa.binary()).view(pa.string())
+            yield pa.RecordBatch.from_arrays([part.column(0), texts, *part.columns[2:]], batch.schema.names)
+
+
 def _packed(window: int, gram: int):
     """Super-k-mers whose minimisers are among the row's repeated ones, as packed strings of words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _expanded(batches):
             for low, high, data, offsets in text_chunks(batch.column(1)):
                 starts, stops, first = word_spans(data, offsets)
                 value, row, begin, runs = super_kmers(word_hashes(data, starts, stops), first, window, gram)
@@ -190,7 +213,7 @@ def range_cuts(mini: np.ndarray, part: np.ndarray, rows: int = 4000) -> Iterator
 
 
 def _cleaned(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in _expanded(batches):
         for low in range(0, len(batch), 256):
             part = batch.slice(low, 256)
             out: list[list] = [[], [], []]
@@ -222,17 +245,18 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, id_
     minis = slim.mapInArrow(_minimisers(window, gram), "mini long, doc_id long, times int")
     often = minis.groupBy("mini").agg(F.sum("times").alias("n")).where("n > 1")
     common = minis.select("mini", "doc_id").join(often, "mini").groupBy("doc_id").agg(F.collect_list(F.struct("mini", F.ceil(F.col("n") / part_rows).cast("int").alias("parts"))).alias("minis"))
-    strings = slim.join(common, "doc_id").mapInArrow(_packed(window, gram), "mini long, parts int, doc_id long, begin long, words binary")
+    small = slim.mapInArrow(_compressed, "doc_id long, text binary")
+    strings = small.join(common, "doc_id").mapInArrow(_packed(window, gram), "mini long, parts int, doc_id long, begin long, words binary")
     part = F.pmod(F.xxhash64("doc_id", "begin"), F.col("parts")).cast("int")
     buckets = strings.withColumn("part", part).repartition("mini", "part").sortWithinPartitions("mini", "part")
-    told = buckets.mapInArrow(_counted(window), "doc_id long, low long, high long, one long, two long")
+    told = staged(buckets.mapInArrow(_counted(window), "doc_id long, low long, high long, one long, two long"))
     loose = told.where("one is not null")
     twice = loose.groupBy("one", "two").agg(F.count("*").alias("n")).where("n > 1")
     across = loose.where("doc_id is not null").join(twice, ["one", "two"], "left_semi")
     spans = told.where("one is null").unionByName(across).groupBy("doc_id").agg(F.collect_list(F.struct("low", "high")).alias("spans"))
     own = [F.col(c).alias(f"kept_{i}") for i, c in enumerate(keep)]
-    wide = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *own)
     extra = "".join(f", kept_{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep))
+    wide = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *own).mapInArrow(_compressed, f"doc_id long, text binary{extra}")
     found = wide.join(spans, "doc_id", "left").select("doc_id", "text", "spans", *(f"kept_{i}" for i in range(len(keep))))
     found = found.mapInArrow(_cleaned, f"doc_id long, n_words long, n_removed long, kept string{extra}")
     return found.select("doc_id", "n_words", "n_removed", "kept", *(F.col(f"kept_{i}").alias(c) for i, c in enumerate(keep)))
