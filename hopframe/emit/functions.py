@@ -68,6 +68,13 @@ FUNCTIONS: dict[str, str | tuple[str, str]] = {
     "date.truncate": ("CAST(date_trunc({0}, {1}) AS DATE)", "CAST(date_trunc({0}, {1}) AS DATE)"),
     "duration.days": ("CAST(datediff({1}, {0}) AS BIGINT)", "CAST(date_diff('day', CAST({0} AS DATE), CAST({1} AS DATE)) AS BIGINT)"),
     "json_int": ("CAST(get_json_object({0}, {1}) AS BIGINT)", "CAST(json_extract_string({0}, {1}) AS BIGINT)"),
+    "json_float": ("CAST(get_json_object({0}, {1}) AS DOUBLE)", "CAST(json_extract_string({0}, {1}) AS DOUBLE)"),
+    "json_text": ("get_json_object({0}, {1})", "json_extract_string({0}, {1})"),
+    "json_time": ("CAST(get_json_object({0}, {1}) AS TIMESTAMP_NTZ)", "CAST(json_extract_string({0}, {1}) AS TIMESTAMP)"),
+    "map_int": ("CAST(try_element_at({0}, {1}) AS BIGINT)", "CAST(map_extract_value({0}, {1}) AS BIGINT)"),
+    "map_float": ("CAST(try_element_at({0}, {1}) AS DOUBLE)", "CAST(map_extract_value({0}, {1}) AS DOUBLE)"),
+    "map_text": ("try_element_at({0}, {1})", "map_extract_value({0}, {1})"),
+    "map_time": ("CAST(try_element_at({0}, {1}) AS TIMESTAMP_NTZ)", "CAST(map_extract_value({0}, {1}) AS TIMESTAMP)"),
     "url_host": ("parse_url({0}, 'HOST')", "regexp_extract({0}, '^[a-z]+://(?:[^/@]*@)?([^/:?#]+)', 1)"),
     "year": "CAST(year({0}) AS BIGINT)",
     "month": "CAST(month({0}) AS BIGINT)",
