@@ -10,6 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from hopframe.exec.importing import importable
+
 #: bytes that separate words: space, tab, line feed, vertical tab, form feed, carriage return
 SEPARATORS = b"\x20\x09\x0a\x0b\x0c\x0d"
 #: text handled at once by the numpy kernels
@@ -25,6 +27,7 @@ _BASE_INV = pow(_BASE, -1, 1 << 64)
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables, through Spark's reader only."""
+    importable(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
