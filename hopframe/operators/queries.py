@@ -41,7 +41,12 @@ def row(name: str, body: Body, sql: str) -> None:
 
 
 c = F.col
-_K = F.get_json_object("props", "$.k").cast("long")
+
+
+def _k():
+    return F.get_json_object("props", "$.k").cast("long")
+
+
 _KS = "CAST(json_extract_string(props, '$.k') AS BIGINT)"
 _DAY = "date_trunc('day', {0})"
 
@@ -76,7 +81,7 @@ row("join_theta", lambda t: t.nation.alias("a").join(t.nation.alias("b"), (c("a.
 row("join_self", lambda t: t.conversations.alias("a").join(t.conversations.alias("b"), (c("a.conv_id") == c("b.conv_id")) & (c("b.turn") == c("a.turn") + 1)).select(c("a.conv_id"), c("a.turn"), c("a.role").alias("asks"), c("b.role").alias("answers")), "SELECT a.conv_id, a.turn, a.role AS asks, b.role AS answers FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1")
 row("join_composite", lambda t: t.lineitem.select("l_orderkey", "l_linenumber").join(t.lineitem.groupBy("l_orderkey", "l_linenumber").agg(F.count("*").alias("n")), ["l_orderkey", "l_linenumber"]), "SELECT l_orderkey, l_linenumber, count(*) OVER (PARTITION BY l_orderkey, l_linenumber) AS n FROM lineitem")
 row("join_nullsafe", lambda t: t.nation.select(F.when(c("n_nationkey") > 4, c("n_nationkey")).alias("k"), "n_name").join(t.nation.select(F.when(c("n_nationkey") > 20, c("n_nationkey")).alias("j"), c("n_name").alias("m")), c("k").eqNullSafe(c("j"))).select("n_name", "m"), "SELECT a.n_name, b.n_name AS m FROM nation a JOIN nation b ON CASE WHEN a.n_nationkey > 4 THEN a.n_nationkey END IS NOT DISTINCT FROM CASE WHEN b.n_nationkey > 20 THEN b.n_nationkey END")
-row("join_salted", lambda t: salted_join(t.events.select("event_id", _K.alias("k")), t.customer.select(c("c_custkey").alias("k"), "c_name"), "k", 8, c("event_id")).select("event_id", "c_name"), f"SELECT event_id, c_name FROM events JOIN customer ON c_custkey = {_KS}")
+row("join_salted", lambda t: salted_join(t.events.select("event_id", _k().alias("k")), t.customer.select(c("c_custkey").alias("k"), "c_name"), "k", 8, c("event_id")).select("event_id", "c_name"), f"SELECT event_id, c_name FROM events JOIN customer ON c_custkey = {_KS}")
 _DAYS = "datediff(o_orderdate, date '1995-01-01')"
 row("join_range_dates", lambda t: range_join(t.orders.select("o_orderkey", F.expr(_DAYS).alias("day")), t.spark.range(10).select(c("id").alias("w"), (c("id") * 200).alias("lo"), (c("id") * 200 + 30).alias("hi")), "day", "lo", "hi", 30.0).groupBy("w").agg(F.count("*").alias("n")), "SELECT w, count(*) AS n FROM orders JOIN (SELECT range AS w, range * 200 AS lo, range * 200 + 30 AS hi FROM range(10)) ON date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) >= lo AND date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) < hi GROUP BY 1")
 row("join_interval_events", lambda t: range_join(t.events.where("event_type = 'purchase'").select(c("event_id").alias("p"), F.unix_micros(c("ts").cast("timestamp")).alias("at")), t.events.where("event_type = 'click' and value > 100").select(c("event_id").alias("k"), F.unix_micros(c("ts").cast("timestamp")).alias("lo"), (F.unix_micros(c("ts").cast("timestamp")) + 3_600_000_000).alias("hi")), "at", "lo", "hi", 3.6e9).groupBy("k").agg(F.count("*").alias("n")), "SELECT b.event_id AS k, count(*) AS n FROM events a JOIN events b ON a.ts >= b.ts AND a.ts < b.ts + INTERVAL 1 HOUR WHERE a.event_type = 'purchase' AND b.event_type = 'click' AND b.value > 100 GROUP BY 1")
@@ -101,22 +106,32 @@ row("agg_rollup", lambda t: t.lineitem.rollup("l_returnflag", "l_linestatus").ag
 row("agg_pivot", lambda t: t.orders.groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count("o_orderkey")).fillna(0), "SELECT o_orderpriority, count(*) FILTER (o_orderstatus = 'F') AS \"F\", count(*) FILTER (o_orderstatus = 'O') AS \"O\", count(*) FILTER (o_orderstatus = 'P') AS \"P\" FROM orders GROUP BY 1")
 
 # --- windows
-_BY = W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
+def _by():
+    return W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
+def _ev():
+    return W.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 _BYS = "(PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"
 for _name, _f, _s in (
-    ("win_row_number", F.row_number(), "row_number()"), ("win_ntile", F.ntile(4), "ntile(4)"),
-    ("win_percent_rank", F.round(F.percent_rank().over(_BY), 6), None), ("win_cume_dist", F.round(F.cume_dist().over(_BY), 6), None),
-):
-    _e = f"{_s} OVER {_BYS}" if _s else f"round({_name[4:]}() OVER {_BYS}, 6)"
-    row(_name, lambda t, f=_f, s=_s: t.orders.select("o_orderkey", (f.over(_BY) if s else f).alias("v")), f"SELECT o_orderkey, {_e} AS v FROM orders")
+    ("win_row_number", lambda: F.row_number().over(_by()), f"row_number() OVER {_BYS}"),
+    ("win_ntile", lambda: F.ntile(4).over(_by()), f"ntile(4) OVER {_BYS}"),
+    ("win_percent_rank", lambda: F.round(F.percent_rank().over(_by()), 6), f"round(percent_rank() OVER {_BYS}, 6)"),
+    ("win_cume_dist", lambda: F.round(F.cume_dist().over(_by()), 6), f"round(cume_dist() OVER {_BYS}, 6)"),
+):
+    row(_name, lambda t, f=_f: t.orders.select("o_orderkey", f().alias("v")), f"SELECT o_orderkey, {_s} AS v FROM orders")
 row("win_rank_dense", lambda t: t.part.select("p_partkey", F.rank().over(W.partitionBy("p_brand").orderBy("p_size")).alias("r"), F.dense_rank().over(W.partitionBy("p_brand").orderBy("p_size")).alias("d")), "SELECT p_partkey, rank() OVER w AS r, dense_rank() OVER w AS d FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_size)")
-_EV, _EVS = W.partitionBy("user_id").orderBy("ts", "event_id"), "(PARTITION BY user_id ORDER BY ts, event_id)"
-row("win_lag_lead", lambda t: t.events.select("event_id", F.lag("value").over(_EV).alias("before"), F.lead("value").over(_EV).alias("after")), f"SELECT event_id, lag(value) OVER {_EVS} AS before, lead(value) OVER {_EVS} AS after FROM events")
-row("win_first_last", lambda t: t.events.select("event_id", F.first("value").over(_EV).alias("f"), F.last("value").over(_EV.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("l")), f"SELECT event_id, first_value(value) OVER {_EVS} AS f, last_value(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS l FROM events")
-row("win_nth", lambda t: t.events.select("event_id", F.nth_value("value", 3).over(_EV).alias("v")), f"SELECT event_id, nth_value(value, 3) OVER {_EVS} AS v FROM events")
-row("win_rows_frame", lambda t: t.events.select("event_id", F.round(F.avg("value").over(_EV.rowsBetween(-2, 0)), 6).alias("v")), "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS v FROM events")
+_EVS = "(PARTITION BY user_id ORDER BY ts, event_id)"
+row("win_lag_lead", lambda t: t.events.select("event_id", F.lag("value").over(_ev()).alias("before"), F.lead("value").over(_ev()).alias("after")), f"SELECT event_id, lag(value) OVER {_EVS} AS before, lead(value) OVER {_EVS} AS after FROM events")
+row("win_first_last", lambda t: t.events.select("event_id", F.first("value").over(_ev()).alias("f"), F.last("value").over(_ev().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("l")), f"SELECT event_id, first_value(value) OVER {_EVS} AS f, last_value(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS l FROM events")
+row("win_nth", lambda t: t.events.select("event_id", F.nth_value("value", 3).over(_ev()).alias("v")), f"SELECT event_id, nth_value(value, 3) OVER {_EVS} AS v FROM events")
+row("win_rows_frame", lambda t: t.events.select("event_id", F.round(F.avg("value").over(_ev().rowsBetween(-2, 0)), 6).alias("v")), "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS v FROM events")
 row("win_range_frame", lambda t: t.part.select("p_partkey", F.count("*").over(W.partitionBy("p_brand").orderBy("p_size").rangeBetween(-5, 5)).alias("n")), "SELECT p_partkey, count(*) OVER (PARTITION BY p_brand ORDER BY p_size RANGE BETWEEN 5 PRECEDING AND 5 FOLLOWING) AS n FROM part")
-row("win_running_total", lambda t: t.orders.select("o_orderkey", F.round(F.sum("o_totalprice").over(_BY.rowsBetween(W.unboundedPreceding, 0)), 2).alias("v")), "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS v FROM orders")
+row("win_running_total", lambda t: t.orders.select("o_orderkey", F.round(F.sum("o_totalprice").over(_by().rowsBetween(W.unboundedPreceding, 0)), 2).alias("v")), "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS v FROM orders")
 
 # --- order and limits
 row("sort_multi_nulls", lambda t: t.labels.select("doc_id", F.when(c("toxic") == 1, c("quality")).alias("q")).orderBy(c("q").desc_nulls_first(), c("doc_id")).limit(50), "SELECT doc_id, CASE WHEN toxic = 1 THEN quality END AS q FROM labels ORDER BY q DESC NULLS FIRST, doc_id LIMIT 50")
@@ -132,7 +147,7 @@ row("set_union", lambda t: _A(t).union(_B(t)).distinct(), f"{_AS} UNION {_BS}")
 row("set_union_by_name", lambda t: t.customer.select(c("c_name").alias("name"), c("c_custkey").alias("id")).unionByName(t.supplier.select(c("s_suppkey").alias("id"), c("s_name").alias("name"))), "SELECT c_name AS name, c_custkey AS id FROM customer UNION ALL BY NAME SELECT s_suppkey AS id, s_name AS name FROM supplier")
 row("set_intersect", lambda t: _A(t).intersect(_B(t)), f"{_AS} INTERSECT {_BS}")
 row("set_intersect_all", lambda t: _A(t).intersectAll(_B(t)), f"{_AS} INTERSECT ALL {_BS}")
-row("set_except", lambda t: t.events.select(c("user_id").alias("k")).subtract(t.events.where("value > 50").select(_K.alias("k"))), f"SELECT user_id AS k FROM events EXCEPT SELECT {_KS} FROM events WHERE value > 50")
+row("set_except", lambda t: t.events.select(c("user_id").alias("k")).subtract(t.events.where("value > 50").select(_k().alias("k"))), f"SELECT user_id AS k FROM events EXCEPT SELECT {_KS} FROM events WHERE value > 50")
 row("set_except_all", lambda t: _A(t).exceptAll(_B(t)), f"{_AS} EXCEPT ALL {_BS}")
 
 
@@ -180,7 +195,7 @@ row("arr_explode_pos", lambda t: t.embeddings.where("vec_id < 20").select("vec_i
 row("arr_set_ops", lambda t: t.spark.range(50).select("id", F.array_intersect(F.sequence(F.lit(0), c("id")), F.sequence(F.lit(10), F.lit(20))).alias("x")).select("id", F.size("x").alias("n")), "SELECT range AS id, len(list_intersect(range(0, range + 1), range(10, 21))) AS n FROM range(50)")
 row("arr_dot", lambda t: t.embeddings.where("vec_id = 0").select(c("embedding").alias("q")).crossJoin(t.embeddings).select("vec_id", F.round(F.aggregate(F.zip_with("q", "embedding", lambda a, b: a.cast("double") * b), F.lit(0.0), lambda a, x: a + x), 4).alias("dot")), "SELECT vec_id, round(list_dot_product(CAST(embedding AS DOUBLE[]), CAST((SELECT embedding FROM embeddings WHERE vec_id = 0) AS DOUBLE[])), 4) AS dot FROM embeddings")
 row("map_build", lambda t: t.nation.groupBy("n_regionkey").agg(F.map_from_entries(F.collect_list(F.struct("n_nationkey", "n_name"))).alias("m")).select("n_regionkey", F.size("m").alias("n"), F.try_element_at("m", F.lit(3)).alias("three")), "SELECT n_regionkey, count(*) AS n, max(CASE WHEN n_nationkey = 3 THEN n_name END) AS three FROM nation GROUP BY 1")
-row("json_extract", lambda t: t.events.select("event_id", _K.alias("k")), f"SELECT event_id, {_KS} AS k FROM events")
+row("json_extract", lambda t: t.events.select("event_id", _k().alias("k")), f"SELECT event_id, {_KS} AS k FROM events")
 row("json_roundtrip", lambda t: t.events.select("event_id", F.from_json(F.to_json(F.struct("user_id", "value")), "user_id long, value double").alias("x")).select("event_id", "x.user_id", "x.value"), "SELECT event_id, user_id, value FROM events")
 
 

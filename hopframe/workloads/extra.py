@@ -147,7 +147,8 @@ def wcc(spark: SparkSession, sf_dir: str) -> DataFrame:
 def pointer_walk(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per-tuple traversal on the driver, over the slice of hot edges only."""
     lists = pointer.adjacency_lists(hot(spark, sf_dir), 2_000_000)
-    return spark.createDataFrame([(n, pointer.pointer_walk(lists, [7], n)) for n in (1, 2, 3, 4)], "hops long, trails long")
+    counts = [(n, pointer.pointer_walk(lists, [7], n)) for n in (1, 2, 3, 4)]
+    return spark.createDataFrame([x for x in counts if x[1]], "hops long, trails long")
 
 
 def naive_shared_row(spark: SparkSession, sf_dir: str) -> DataFrame:
