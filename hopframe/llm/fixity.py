@@ -86,7 +86,7 @@ def tree(records: DataFrame) -> DataFrame:
         roots = _above(roots.select("place", "file", "digest"), ["place"], "file")
         nodes = nodes.unionByName(roots.select(F.lit("root").alias("kind"), F.lit(level).alias("level"), "file", "place", "digest"))
         span = (span[0] // FANOUT, span[1] // FANOUT)
-        if span[0] == span[1]:
+        if span[0] == span[1] or (span[0], span[1]) == (0, -1):  # files below zero keep a root of their own
             break
     return staged(nodes)
 
