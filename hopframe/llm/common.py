@@ -165,9 +165,9 @@ def window_hashes(words: np.ndarray, width: int) -> np.ndarray:
         return words
     total = np.zeros(n, np.uint64)
     factor = 1
-    for k in range(width):
+    for k in range(min(width, n)):
         factor = factor * 0xD1342543DE82EF95 % (1 << 64)
-        total[: n - k if k else n] += words[k:] * np.uint64(factor)
+        total[: n - k] += words[k:] * np.uint64(factor)
     return mixed(total)
 
 
