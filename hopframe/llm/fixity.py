@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from hopframe.llm.common import staged
 
 #: page ids of one archive file, and branches of a tree node
-FILE_IDS, FANOUT = 512, 16
+FILE_IDS, FANOUT = 128, 16
 
 
 def record_text(page_id: Column, url: Column, html: Column) -> Column:

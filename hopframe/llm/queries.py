@@ -95,7 +95,7 @@ _RECORD = """'WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: ' || coalesce(
 
 ORACLES: dict[str, str] = {
     "op5_warc_fixity": f"""
-        WITH r AS (SELECT page_id, CAST(coalesce(floor(page_id / 512), -1) AS BIGINT) AS file, {_RECORD} AS record FROM pages),
+        WITH r AS (SELECT page_id, CAST(coalesce(floor(page_id / {fixity.FILE_IDS}), -1) AS BIGINT) AS file, {_RECORD} AS record FROM pages),
         p AS (SELECT *, CAST(strlen(record) + 4 AS BIGINT) AS length FROM r)
         SELECT page_id, file, row_number() OVER w - 1 AS place, CAST(sum(length) OVER w - length AS BIGINT) AS first, length,
                sha256(record) AS record_sha256, CASE WHEN sha256(record) LIKE '{DAMAGED}%' THEN 'corrupt' ELSE 'ok' END AS status
