@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import re
 from dataclasses import dataclass
 from typing import Any
 
@@ -11,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from hopframe.catalog.model import GraphMap
 from hopframe.emit.dataframe import to_dataframe
 from hopframe.emit.sqltext import Dialect, to_sql
-from hopframe.lang.parser import parse
+from hopframe.lang.parser import QuerySyntaxError, parse
 from hopframe.paths import forms
 from hopframe.plan import rel as R
 from hopframe.plan.compile import Compiler, walk
@@ -70,6 +71,13 @@ class GraphSession:
         """The query's result."""
         return self.run(self.compiled(text, **params)[1])
 
+    def graph_table(self, text: str, **params: Any) -> DataFrame:
+        """``GRAPH_TABLE (graph MATCH pattern [WHERE ...] COLUMNS (...))``: the SQL form of a pattern query."""
+        m = re.fullmatch(r"\s*GRAPH_TABLE\s*\(\s*(\w+)\s+(MATCH\b.*?)\bCOLUMNS\s*\((.*)\)\s*\)\s*;?\s*", text, re.DOTALL | re.IGNORECASE)
+        if not m or m[1] != self.gmap.name:
+            raise QuerySyntaxError(f"expected GRAPH_TABLE ({self.gmap.name} MATCH ... COLUMNS (...))")
+        return self.cypher(f"{m[2]} RETURN {m[3]}", **params)
+
     def run(self, plan: R.Rel) -> DataFrame:
         done: dict[R.Iterate, DataFrame] = {}
 

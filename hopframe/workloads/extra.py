@@ -187,6 +187,11 @@ def sql_text_mode(spark: SparkSession, sf_dir: str) -> DataFrame:
     return session(spark, sf_dir).sql(patterns.PATTERNS["pat_key_left"].text)
 
 
+def graph_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The pattern table function as a second front end."""
+    return session(spark, sf_dir).graph_table("GRAPH_TABLE (commerce MATCH (c:Customer)-[:PLACED]->(o:Order) WHERE o.total > 400000 COLUMNS (c.name AS name, o.id AS order_id))")
+
+
 def materialized(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = session(spark, sf_dir)
     g.materialize("asia_customers", g.cypher("MATCH (c:Customer)-[:LIVES_IN]->(n:Nation)-[:PART_OF]->(r:Region {name: 'ASIA'}) RETURN c.id AS id, n.name AS nation"))
@@ -203,6 +208,8 @@ def shapes(spark: SparkSession, sf_dir: str) -> DataFrame:
 _NATIVE = {k: snb.MICRO[k].oracle for k in snb.MICRO}
 _LABELS = "Account Actor BenchItem Customer Document Host Lang Nation Order Page Part Quality Region Source Supplier Target Toxicity Turn Vector".split()
 _TYPES = "ACTED BASED_IN CLICK COMPONENT_OF CONTAINS DID ERROR FLAGGED HOT_CLICK HOT_INTERACTS INTERACTS LED_BY LIVES_IN ON_HOST PART_OF PLACED PURCHASE RATED REPLY_OF SHIPPED SIGNUP SOURCED_FROM STARTED_BY TAGGED TOUCHED VIEW".split()
+#: whole-number columns that discovery probes
+_WHOLE = {"customer": ["c_custkey", "c_nationkey"], "orders": ["o_orderkey", "o_custkey"], "part": ["p_partkey", "p_size"], "supplier": ["s_suppkey", "s_nationkey"], "nation": ["n_nationkey", "n_regionkey"]}
 _NAMES = ", ".join([f"('{n}', 'label')" for n in _LABELS] + [f"('{n}', 'type')" for n in _TYPES])
 
 EXTRA: dict[str, tuple[Runner, str | None]] = {
@@ -235,10 +242,11 @@ EXTRA: dict[str, tuple[Runner, str | None]] = {
     "base_naive_shared_row": (naive_shared_row, "SELECT count(*) AS n FROM lineitem a JOIN lineitem b USING (l_partkey)"),
     "base_reified_lines": (reified, patterns.PATTERNS["pat_shared_row"].oracle),
     "tool_validate": (deep_validation, "SELECT * FROM (VALUES ('repeated key', 0), ('edge without its node', 0)) v(kind, rows)"),
-    "tool_discover_keys": (discovered_keys, "SELECT * FROM (VALUES ('customer', 'c_custkey'), ('orders', 'o_orderkey'), ('part', 'p_partkey'), ('supplier', 's_suppkey'), ('nation', 'n_nationkey')) v(\"table\", \"column\")"),
+    "tool_discover_keys": (discovered_keys, " UNION ALL ".join(f"SELECT '{t}' AS \"table\", '{x}' AS \"column\" FROM {t} HAVING count(*) = count(DISTINCT {x})" for t, xs in _WHOLE.items() for x in xs)),
     "tool_retrieve": (retrieved, f"WITH {HOT}, m AS (SELECT id, min(h) AS hops FROM (SELECT dst AS id, 1 AS h FROM hot WHERE src IN (7, 8) UNION ALL SELECT b.dst, 2 FROM hot a JOIN hot b ON a.dst = b.src AND a.id <> b.id WHERE a.src IN (7, 8)) GROUP BY 1) SELECT id, hops FROM m QUALIFY row_number() OVER (PARTITION BY hops ORDER BY id) <= 5"),
     "tool_procedures": (procedures, f"SELECT * FROM (VALUES {_NAMES}) v(name, kind)"),
     "mode_sql_text": (sql_text_mode, patterns.PATTERNS["pat_key_left"].oracle),
+    "pgq_graph_table": (graph_table, "SELECT c_name AS name, o_orderkey AS order_id FROM customer JOIN orders ON c_custkey = o_custkey WHERE o_totalprice > 400000"),
     "mode_materialize": (materialized, "SELECT n_name AS nation, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA' GROUP BY 1"),
     "measure_plan_shape": (shapes, "SELECT * FROM (VALUES ('InRowScan', 0), ('EdgeChain', 1), ('HalfInRow', 1), ('KeyHop', 1), ('TripleJoin', 2), ('SharedRow', 0)) v(strategy, joins)"),
 }
