@@ -17,6 +17,8 @@ from hopframe.llm.common import fold, staged, table
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 #: posterior below which a text's language counts as not found
 LEAST_SCORE = 0.5
+#: share of five-word shingles in common, in percent, from which texts are near-duplicates
+NEAR_PERCENT = 80
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,7 +36,7 @@ def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near-duplicates the document with the smallest id stays."""
-    kept = near_dedup.near_duplicates(docs).where("kept").select("doc_id").distinct()
+    kept = near_dedup.near_duplicates(docs, percent=NEAR_PERCENT).where("kept").select("doc_id").distinct()
     return docs.select(*COLUMNS).join(kept, "doc_id", "left_semi")
 
 

@@ -2,14 +2,15 @@
 
 1. Every text becomes its set of distinct word shingles (A-Z lower-cased). Equal sets are one class at once.
 2. Each set is compressed into registers: per bucket the leading-zero count and the first mantissa bits of the
-   bucket's least hash. Bands of registers name candidate buckets.
+   bucket's least hash. Bands of registers name candidate buckets; the lower the threshold, the narrower the bands.
 3. Among the candidates a shingle held by one class only can be in no intersection. A class with more than
    ``1 - threshold`` of such shingles has no partner at all and leaves, whatever its buckets hold.
 4. In each bucket every class meets the best connected one; pairs whose collision-corrected estimate is far below
    the threshold go, the rest are confirmed on the full sets. Groups of copies become one component here, in a
    number of pairs linear in the bucket's size.
 5. What is left are pairs of one bucket whose classes are in different components. Those that can still reach the
-   threshold by their set sizes and shared parts are estimated and confirmed too, so no candidate link is lost.
+   threshold by their set sizes and shared parts are estimated and confirmed too. A pair at the threshold shares no
+   bucket with a probability of ``MISS`` at most, and is thrown out by its estimate only beyond five deviations.
 """
 
 from __future__ import annotations
@@ -25,7 +26,8 @@ from hopframe.llm.common import lowered, mixed, staged, text_chunks, window_hash
 from hopframe.llm.components import components
 
 REGISTERS = 256
-BANDS = 32
+#: probability, at most, that a pair exactly at the threshold meets in no band
+MISS = 1e-4
 MANTISSA_BITS = 18
 HASH_BITS = 52
 #: times that shingles held by one candidate only are counted among those that stay
@@ -71,9 +73,17 @@ def registers(hashes: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return out.reshape(rows, REGISTERS)
 
 
-def band_keys(sketch: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """One 64-bit key for each band of registers, and whether the band holds anything."""
-    bands = sketch.reshape(len(sketch), BANDS, REGISTERS // BANDS).astype(np.uint64)
+def band_rows(percent: int) -> int:
+    """Registers of a band: as many as leave the chance of missing a pair at the threshold at ``MISS`` or less."""
+    for rows in (8, 4, 2):
+        if (1 - (percent / 100) ** rows) ** (REGISTERS // rows) <= MISS:
+            return rows
+    return 1
+
+
+def band_keys(sketch: np.ndarray, rows: int) -> tuple[np.ndarray, np.ndarray]:
+    """One 64-bit key for each band of ``rows`` registers, and whether the band holds anything."""
+    bands = sketch.reshape(len(sketch), REGISTERS // rows, rows).astype(np.uint64)
     key = np.zeros(bands.shape[:2], np.uint64)
     for k in range(bands.shape[2]):
         key = mixed(key + bands[:, :, k] + np.uint64(k + 1))
@@ -84,12 +94,12 @@ def _lists(values: np.ndarray, offsets: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(values))
 
 
-def _sketches(width: int):
+def _sketches(width: int, rows: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for low, high, data, offsets in text_chunks(batch.column(1)):
                 hashes, ends = shingle_sets(data, offsets, width)
-                keys, full = band_keys(registers(hashes, ends))
+                keys, full = band_keys(registers(hashes, ends), rows)
                 sums, sums2 = (np.concatenate(([np.uint64(0)], np.cumsum(mixed(hashes ^ np.uint64(salt)), dtype=np.uint64))) for salt in (0x5851F42D4C957F2D, 0x2545F4914F6CDD1D))
                 flat = pa.array(keys.ravel(), mask=~full.ravel())
                 yield pa.RecordBatch.from_arrays(
@@ -98,7 +108,7 @@ def _sketches(width: int):
                         pa.array(np.diff(ends)),
                         pa.array((sums[ends[1:]] - sums[ends[:-1]]).view(np.int64)),
                         pa.array((sums2[ends[1:]] - sums2[ends[:-1]]).view(np.int64)),
-                        pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1, dtype=np.int32) * BANDS), flat),
+                        pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1, dtype=np.int32) * (REGISTERS // rows)), flat),
                     ],
                     ["doc_id", "n", "f1", "f2", "bands"],
                 )
@@ -159,10 +169,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
     Returns doc_id, n_shingles, component_id (smallest id reachable) and kept, a row for each input row. Null and
     empty texts have no shingles and stay alone; texts of fewer than ``width`` words count as one shingle. Rows
-    that share an id count as one document. Other columns are ignored, whatever their names.
+    that share an id count as one document. ``percent`` is 1 to 99. Other columns are ignored, whatever their names.
     """
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    seen = staged(slim.mapInArrow(_sketches(width), "doc_id long, n long, f1 long, f2 long, bands array<long>"))
+    seen = staged(slim.mapInArrow(_sketches(width, band_rows(percent)), "doc_id long, n long, f1 long, f2 long, bands array<long>"))
     classes = staged(seen.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.min_by("bands", "doc_id").alias("bands")))
 
     # sets so small that one shingle more or less misses the threshold have equal partners only
