@@ -16,11 +16,12 @@ from hopframe.exec.staging import staged
 
 #: rounds of a trail enumeration without an upper bound
 TRAIL_ROUNDS = 64
+#: rounds after which a search for ends or distances gives up with an error
 REACH_ROUNDS = 10_000
 
 
 class PathLimit(RuntimeError):
-    """A path enumeration without a bound went on for too long."""
+    """A path iteration without a bound went on for too long."""
 
 
 def _names(keys: int) -> tuple[list[str], list[str]]:
@@ -40,7 +41,7 @@ def frontier(link: DataFrame, seeds: DataFrame, keys: int = 1, lo: int = 1, hi:
 
     ``reach``: every (source, target) once, with its least number of hops; ``lo`` 0 or 1. A source itself is reached
     with ``lo`` 1 only if it lies on a cycle. ``trail``: a row for every path that repeats no edge. ``until`` (t0..)
-    stops the loop once all of these targets are reached.
+    stops the loop once all of these targets are reached. Without ``hi``, either raises PathLimit rather than end early.
     """
     s, t = _names(keys)
     edges = staged(link)
@@ -53,11 +54,13 @@ def frontier(link: DataFrame, seeds: DataFrame, keys: int = 1, lo: int = 1, hi:
             raise ValueError("reach keeps the least number of hops; paths of two hops and more need trails")
         levels = [front] if lo == 0 else []
         seen = front if lo == 0 else front.where("false")
-        for depth in range(1, (hi if hi is not None else REACH_ROUNDS) + 1):
+        for depth in range(1, (hi if hi is not None else REACH_ROUNDS + 1) + 1):
             near = front.join(hop.drop("edge"), on).select(*step).distinct()
             front = staged(near.join(seen.select(*s, *t), [*s, *t], "left_anti").withColumn("hops", F.lit(depth).cast("long")))
             if front.isEmpty():
                 break
+            if hi is None and depth > REACH_ROUNDS:
+                raise PathLimit(f"new ends appear after {REACH_ROUNDS} hops; give an upper bound")
             levels.append(front)
             if depth % 8 == 0:  # fold the levels, so that the plan stays small
                 levels = [staged(reduce(DataFrame.unionByName, levels))]
@@ -146,31 +149,38 @@ def ranged(link: DataFrame, lo: int, hi: int, form: str, keys: int = 1, ids: int
     return reduce(DataFrame.unionByName, [p.select(*s, *t, "hops") for p in parts])
 
 
-def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str | None = None, max_rounds: int = 200) -> DataFrame:
+def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str | None = None, max_rounds: int | None = None) -> DataFrame:
     """(s0, t0, cost, paths): least number of hops (or sum of ``weight``) and, by hops, how many shortest paths.
 
     Many sources advance together, a level a round. With weights, labels are corrected until none falls further;
-    weights must not be negative. Pairs that no path joins are missing.
+    weights must not be negative. Pairs that no path joins are missing. PathLimit if anything still moves after
+    ``max_rounds`` (REACH_ROUNDS if not given).
     """
+    most = REACH_ROUNDS if max_rounds is None else max_rounds
+    limit = PathLimit(f"distances still change after {most} rounds")
     edges = staged(link.select("s0", "t0", *([weight] if weight else [])))
     goal = target.select("t0").distinct()
     if weight is None:
         level = staged(source.select("s0").distinct().select("s0", F.col("s0").alias("t0"), F.lit(0).cast("double").alias("cost"), F.lit(1).cast("long").alias("paths")))
         done = level
-        for depth in range(1, max_rounds + 1):
+        for depth in range(1, most + 2):
             near = level.join(edges.select(F.col("s0").alias("t0"), F.col("t0").alias("next")), "t0").groupBy("s0", F.col("next").alias("t0")).agg(F.sum("paths").alias("paths"))
             level = staged(near.join(done.select("s0", "t0"), ["s0", "t0"], "left_anti").select("s0", "t0", F.lit(float(depth)).alias("cost"), "paths"))
             if level.isEmpty():
                 break
+            if depth > most:
+                raise limit
             done = staged(done.unionByName(level))
         return done.join(goal, "t0").select("s0", "t0", "cost", "paths")
     best = staged(source.select("s0").distinct().select("s0", F.col("s0").alias("t0"), F.lit(0.0).alias("cost")))
     moved = best
-    for _ in range(max_rounds):
+    for depth in range(1, most + 2):
         reached = moved.join(edges.select(F.col("s0").alias("t0"), F.col("t0").alias("next"), F.col(weight).cast("double").alias("w")), "t0").groupBy("s0", F.col("next").alias("t0")).agg(F.min(F.col("cost") + F.col("w")).alias("found"))
         moved = staged(reached.join(best, ["s0", "t0"], "left").where(F.col("cost").isNull() | (F.col("found") < F.col("cost"))).select("s0", "t0", F.col("found").alias("cost")))
         if moved.isEmpty():
             break
+        if depth > most:
+            raise limit
         best = staged(best.unionByName(moved).groupBy("s0", "t0").agg(F.min("cost").alias("cost")))
     return best.join(goal, "t0").select("s0", "t0", "cost", F.lit(1).cast("long").alias("paths"))
 
