@@ -60,7 +60,7 @@ def parsed(conversation: str) -> list[tuple[str, str]]:
 def reply_paths(messages: DataFrame) -> DataFrame:
     """(tree, leaf, node, up) for every message on every root-to-leaf path of (tree, node, parent).
 
-    A null parent, or one that is not in the tree, makes a root. A path of 2**24 messages or more, or a cycle below
+    Trees must not be null. A null parent, or one that is not in the tree, makes a root. A path of 2**24 messages or more, or a cycle below
     some leaf, raises ValueError; messages on a cycle without a leaf are on no path.
     """
     nodes = messages.select("tree", "node", "parent")
@@ -90,9 +90,11 @@ def conversations_of(messages: DataFrame, branches: int = 1) -> DataFrame:
     """tree, leaf, rank, score, conversation and loss spans of the chosen paths.
 
     ``messages`` has tree, node, parent, role, text and score; (tree, node) is a key. Null roles and texts count as
-    empty. Other columns are ignored. An empty table gives an empty result.
+    empty, and the rows without a tree are one tree. Other columns are ignored. An empty table gives an empty result.
     """
-    slim = staged(messages.select("tree", "node", "parent", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), F.col("score").cast("double").alias("score")))
+    kind = messages.schema["tree"].dataType
+    key = F.coalesce(F.concat(F.lit("="), F.col("tree").cast("string")), F.lit(""))  # joins see it, pandas keeps it exact
+    slim = staged(messages.select(key.alias("tree"), "node", "parent", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), F.col("score").cast("double").alias("score")))
     paths = reply_paths(slim)
     chosen = ranked_branches(paths, slim, branches)
     rows = paths.join(chosen, ["tree", "leaf"]).join(slim.select("tree", "node", "role", "text"), ["tree", "node"])
@@ -103,14 +105,18 @@ def conversations_of(messages: DataFrame, branches: int = 1) -> DataFrame:
             made = [formatted([(t["role"], t["text"]) for t in turns]) for turns in frame["turns"]]
             yield frame.drop(columns="turns").assign(conversation=[m[0] for m in made], loss=[[{"first": a, "stop": b} for a, b in m[1]] for m in made])
 
-    return turns.mapInPandas(run, f"tree {slim.schema['tree'].dataType.simpleString()}, leaf {slim.schema['node'].dataType.simpleString()}, rank int, score double, conversation string, loss array<struct<first:long,stop:long>>")
+    made = turns.mapInPandas(run, f"tree string, leaf {slim.schema['node'].dataType.simpleString()}, rank int, score double, conversation string, loss array<struct<first:long,stop:long>>")
+    return made.withColumn("tree", F.when(F.col("tree") != "", F.expr("substr(tree, 2)")).cast(kind))
 
 
 def chain(turns: DataFrame, tree: str = "conv_id", order: str = "turn") -> DataFrame:
-    """Messages of plain conversations: each row answers the one before it by turn, role and text."""
+    """Messages of plain conversations: each row answers the one before it by turn, role and text.
+
+    The rows of a null id are one conversation.
+    """
     rows = turns.select(F.col(tree).alias("tree"), F.col(order).alias("at"), "role", "text")
     place = W.partitionBy("tree").orderBy("at", "role", "text")
-    numbered = rows.where("tree is not null").withColumn("node", F.row_number().over(place).cast("long"))
+    numbered = rows.withColumn("node", F.row_number().over(place).cast("long"))
     return numbered.select("tree", "node", F.when(F.col("node") > 1, F.col("node") - 1).alias("parent"), "role", "text", F.lit(None).cast("double").alias("score"))
 
 
@@ -127,4 +133,5 @@ def read_back(conversations: DataFrame) -> DataFrame:
                 out.append((tree, len(turns), hashlib.sha256(told.encode()).hexdigest(), len(under), hashlib.sha256(under.encode()).hexdigest(), len(text)))
             yield pd.DataFrame(out, columns=["conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars"])
 
-    return conversations.select("tree", "conversation", "loss").mapInPandas(run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    told = conversations.select(F.col("tree").cast("string").alias("tree"), "conversation", "loss")  # pandas would make floats of ids beside nulls
+    return told.mapInPandas(run, "conv_id string, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long").withColumn("conv_id", F.col("conv_id").cast("long"))
