@@ -12,7 +12,7 @@ from hopframe.graphopt import factor, triangles
 from hopframe.measure.measures import plan_shape
 from hopframe.paths import forms
 from hopframe.workloads import patterns, snb
-from hopframe.workloads.base import HOT, HOT_BOTH, TOUCH, Runner
+from hopframe.workloads.base import BOTH, HOT, HOT_BOTH, TOUCH, Runner
 
 
 def session(spark: SparkSession, sf_dir: str) -> GraphSession:
@@ -144,6 +144,25 @@ def wcc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return algos.wcc(hot(spark, sf_dir))
 
 
+def pagerank_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """PageRank over all events, with its default rounds."""
+    return algos.pagerank(touch(spark, sf_dir)).select("node", F.round("rank", 6).alias("rank"))
+
+
+def sssp_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return algos.sssp(touch(spark, sf_dir), seed(spark, 7)).select("t0", F.col("cost").cast("long").alias("hops"))
+
+
+def wcc_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return algos.wcc(touch(spark, sf_dir))
+
+
+#: the rounds of PageRank over all events, unrolled
+_RANKS = ", ".join(
+    f"r{i} AS MATERIALIZED (SELECT n.node, 0.15::DOUBLE / any_value(c) + 0.85 * coalesce(sum(r / deg), 0) AS r FROM n CROSS JOIN k LEFT JOIN f ON f.dst = n.node LEFT JOIN r{i - 1} p ON p.node = f.src GROUP BY 1)" for i in range(1, 11)
+)
+
+
 def pointer_walk(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per-tuple traversal on the driver, over the slice of hot edges only."""
     lists = pointer.adjacency_lists(hot(spark, sf_dir), 2_000_000)
@@ -238,6 +257,13 @@ EXTRA: dict[str, tuple[Runner, str | None]] = {
     ),
     "algo_sssp": (sssp, f"WITH RECURSIVE {HOT}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN hot ON t = src WHERE d < 14) SELECT t AS t0, min(d) AS hops FROM w GROUP BY 1"),
     "algo_wcc": (wcc, f"WITH RECURSIVE {HOT_BOTH}, n AS (SELECT src AS node FROM hu UNION SELECT dst FROM hu), w AS (SELECT node, node AS r FROM n UNION SELECT w.node, dst FROM w JOIN hu ON r = src) SELECT node, min(r) AS component FROM w GROUP BY 1"),
+    "algo_pagerank_all": (
+        pagerank_all,
+        f"""WITH {TOUCH}, n AS (SELECT src AS node FROM touch UNION SELECT dst FROM touch), k AS (SELECT count(*) AS c FROM n), f AS (SELECT src, dst, count(*) OVER (PARTITION BY src) AS deg FROM touch),
+            r0 AS (SELECT node, 1.0::DOUBLE / c AS r FROM n, k), {_RANKS} SELECT node, round(r, 6) AS rank FROM r10""",
+    ),
+    "algo_sssp_all": (sssp_all, f"WITH RECURSIVE {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch), w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN e ON t = src WHERE d < (SELECT count(DISTINCT dst) FROM touch)) SELECT t AS t0, min(d) AS hops FROM w GROUP BY 1"),
+    "algo_wcc_all": (wcc_all, f"WITH RECURSIVE {BOTH}, e AS (SELECT DISTINCT src, dst FROM both_ways), n AS (SELECT src AS node FROM e UNION SELECT dst FROM e), w AS (SELECT node, node AS r FROM n UNION SELECT w.node, dst FROM w JOIN e ON r = src) SELECT node, min(r) AS component FROM w GROUP BY 1"),
     "base_pointer_walk": (pointer_walk, _RANGED.replace("count(*) AS trails, count(DISTINCT dst) AS ends", "count(*) AS trails")),
     "base_naive_shared_row": (naive_shared_row, "SELECT count(*) AS n FROM lineitem a JOIN lineitem b USING (l_partkey)"),
     "base_reified_lines": (reified, patterns.PATTERNS["pat_shared_row"].oracle),

@@ -17,3 +17,11 @@ def test_whole_table_queries(spark):
     assert QUERIES["agg_collect_list_whole"](spark, SF_DIR).count() == orders.select("o_custkey").distinct().count()
     assert QUERIES["arr_explode_pos_whole"](spark, SF_DIR).select("vec_id").distinct().count() == rows(spark, "embeddings").count()
     assert QUERIES["sort_multi_nulls_whole"](spark, SF_DIR).count() == rows(spark, "labels").count()
+
+
+def test_vertex_programs_over_all_events(spark):
+    events = rows(spark, "events").selectExpr("user_id AS a", "CAST(get_json_object(props, '$.k') AS BIGINT) AS b")
+    nodes = events.select("a").union(events.select("b")).distinct().count()
+    for name in ("algo_pagerank_all", "algo_wcc_all"):
+        assert QUERIES[name](spark, SF_DIR).count() == nodes
+    assert QUERIES["algo_sssp_all"](spark, SF_DIR).where("t0 <> 7 and hops = 1").count() == events.where("a = 7 and b <> 7").select("b").distinct().count()
