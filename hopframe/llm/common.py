@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Iterator
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -21,8 +22,8 @@ _IS_WORD = np.ones(256, dtype=bool)
 _IS_WORD[list(SEPARATORS)] = False
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
-_BASE = 0x9E3779B97F4A7C15 | 1
-_BASE_INV = pow(_BASE, -1, 1 << 64)
+#: masks that keep the first 0 to 8 bytes of a little-endian integer
+_LOW_BYTES = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -112,19 +113,6 @@ def word_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
     return starts, stops, np.searchsorted(starts, offsets)
 
 
-_POWERS: dict[str, np.ndarray] = {}
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if len(_POWERS.get("up", ())) < n:
-        size = max(n, CHUNK_BYTES)
-        for name, base in (("up", _BASE), ("down", _BASE_INV)):
-            steps = np.full(size, base, np.uint64)
-            steps[0] = 1
-            _POWERS[name] = np.cumprod(steps, dtype=np.uint64)
-    return _POWERS["up"], _POWERS["down"]
-
-
 def mixed(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser (xor-shift and multiply)."""
     x = x ^ (x >> np.uint64(30))
@@ -135,27 +123,31 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def word_hashes(data: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
-    """64-bit hash of each word's bytes, the same wherever the word stands."""
-    if not len(starts):
+def word_codes(data: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
+    """A number for each word, the same for words of equal bytes; it holds for this call only."""
+    ends = np.concatenate(([0], np.cumsum(stops - starts)))
+    letters = np.ascontiguousarray(data[_IS_WORD[data]])
+    words = pa.Array.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(ends), pa.py_buffer(letters)])
+    return words.dictionary_encode().indices.to_numpy()
+
+
+def word_hashes(data: np.ndarray, starts: np.ndarray, stops: np.ndarray, seed: int = 0) -> np.ndarray:
+    """64-bit hash of each word's bytes, the same wherever the word stands; seeds give independent hashes.
+
+    Up to 16 bytes go into two integers, which with the length are mixed by bijections; longer words go through BLAKE2b.
+    """
+    n = len(starts)
+    if not n:
         return np.zeros(0, np.uint64)
-    out = np.empty(len(starts), np.uint64)
-    low = 0
-    while low < len(starts):  # slices at word borders keep the power tables small
-        high = int(np.searchsorted(stops, starts[low] + CHUNK_BYTES, side="right"))
-        high = max(low + 1, high)
-        a, b = int(starts[low]), int(stops[high - 1])
-        up, down = _powers(b - a)
-        piece = data[a:b]
-        values = piece.astype(np.uint64)
-        values += np.uint64(1)
-        values *= up[: b - a]
-        values[~_IS_WORD[piece]] = 0
-        local = starts[low:high] - a
-        sums = np.add.reduceat(values, local)
-        out[low:high] = sums * down[local]
-        low = high
-    return mixed(out ^ (stops - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+    padded = np.concatenate([data, np.zeros(16, np.uint8)])
+    eight = np.ndarray(len(padded) - 7, np.dtype("<u8"), padded, strides=(1,))  # the 8 bytes from each place on
+    sizes = stops - starts
+    first, second = (eight[starts + 8 * k] & _LOW_BYTES[np.clip(sizes - 8 * k, 0, 8)] for k in (0, 1))
+    key = mixed(np.array([2 * seed + 1, 2 * seed + 2], np.uint64))
+    out = mixed(mixed(mixed(first ^ key[0]) + second) ^ key[1] ^ sizes.astype(np.uint64))
+    for i in np.flatnonzero(sizes > 16).tolist():
+        out[i] = int.from_bytes(_DIGESTS[data[starts[i] : stops[i]].tobytes()][8 * seed : 8 * seed + 8], "little")
+    return out
 
 
 def window_hashes(words: np.ndarray, width: int) -> np.ndarray:
@@ -182,7 +174,7 @@ class Remembered(dict):
         super().__init__()
         self.compute, self.generation, self.longest, self.old = compute, generation, longest, {}
 
-    def __missing__(self, word: str):
+    def __missing__(self, word):
         value = self.old.get(word)
         if value is None:
             value = self.compute(word)
@@ -192,3 +184,7 @@ class Remembered(dict):
                 self.clear()
             self[word] = value
         return value
+
+
+#: digests of words of more than 16 bytes, 8 bytes for each seed
+_DIGESTS = Remembered(lambda word: blake2b(word).digest(), generation=50_000)

@@ -8,9 +8,13 @@
 4. In each bucket every class meets the best connected one; pairs whose collision-corrected estimate is far below
    the threshold go, the rest are confirmed on the full sets. Groups of copies become one component here, in a
    number of pairs linear in the bucket's size.
-5. What is left are pairs of one bucket whose classes are in different components. Those that can still reach the
-   threshold by their set sizes and shared parts are estimated and confirmed too. A pair at the threshold shares no
-   bucket with a probability of ``MISS`` at most, and is thrown out by its estimate only beyond five deviations.
+5. What is left are pairs of one bucket whose classes are in different components. A shingle that few of these classes
+   hold is rare: pairs that share rare shingles are counted by them, in a number linear in the shingles. Any other pair
+   can have its common shingles only in its intersection, and is looked at where these still reach the threshold.
+   A pair at the threshold shares no bucket with a probability of ``MISS`` at most, and is thrown out by its estimate
+   only beyond five deviations.
+
+Sets hold 64-bit hashes; words up to 16 bytes enter them byte by byte, longer ones by a cryptographic digest.
 """
 
 from __future__ import annotations
@@ -32,6 +36,10 @@ MANTISSA_BITS = 18
 HASH_BITS = 52
 #: times that shingles held by one candidate only are counted among those that stay
 UNIQUE_ROUNDS = 3
+#: holders, at most, of a rare shingle
+RARE = 8
+#: classes of a bucket that meet in one task
+PART_CLASSES = 1024
 EMPTY = np.uint64(1 << 63)
 #: expected equal registers of disjoint sets: constant of the published HyperMinHash estimator
 COLLISION_CONSTANT = 0.169919487159739
@@ -94,43 +102,40 @@ def _lists(values: np.ndarray, offsets: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(values))
 
 
+def _sums(hashes: np.ndarray, ends: np.ndarray) -> list[pa.Array]:
+    """Two 64-bit fingerprints of every set."""
+    sums = [np.concatenate(([np.uint64(0)], np.cumsum(mixed(hashes ^ np.uint64(salt)), dtype=np.uint64))) for salt in (0x5851F42D4C957F2D, 0x2545F4914F6CDD1D)]
+    return [pa.array((x[ends[1:]] - x[ends[:-1]]).view(np.int64)) for x in sums]
+
+
 def _sketches(width: int, rows: int):
+    """(doc_id, key, text) to doc_id, key, size, fingerprints and band keys."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for low, high, data, offsets in text_chunks(batch.column(1)):
+            for low, high, data, offsets in text_chunks(batch.column(2)):
                 hashes, ends = shingle_sets(data, offsets, width)
                 keys, full = band_keys(registers(hashes, ends), rows)
-                sums, sums2 = (np.concatenate(([np.uint64(0)], np.cumsum(mixed(hashes ^ np.uint64(salt)), dtype=np.uint64))) for salt in (0x5851F42D4C957F2D, 0x2545F4914F6CDD1D))
                 flat = pa.array(keys.ravel(), mask=~full.ravel())
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        batch.column(0).slice(low, high - low),
-                        pa.array(np.diff(ends)),
-                        pa.array((sums[ends[1:]] - sums[ends[:-1]]).view(np.int64)),
-                        pa.array((sums2[ends[1:]] - sums2[ends[:-1]]).view(np.int64)),
-                        pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1, dtype=np.int32) * (REGISTERS // rows)), flat),
-                    ],
-                    ["doc_id", "n", "f1", "f2", "bands"],
-                )
+                bands = pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1, dtype=np.int32) * (REGISTERS // rows)), flat)
+                own = [batch.column(k).slice(low, high - low) for k in (0, 1)]
+                yield pa.RecordBatch.from_arrays([*own, pa.array(np.diff(ends)), *_sums(hashes, ends), bands], ["doc_id", "key", "n", "f1", "f2", "bands"])
 
     return run
 
 
 def _full_sets(width: int):
+    """(rep, text, want1, want2) to rep, size, registers and set, where the set has these fingerprints."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for low, high, data, offsets in text_chunks(batch.column(1)):
                 hashes, ends = shingle_sets(data, offsets, width)
                 sketch = registers(hashes, ends)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        batch.column(0).slice(low, high - low),
-                        pa.array(np.diff(ends)),
-                        _lists(sketch.ravel(), np.arange(len(sketch) + 1) * REGISTERS),
-                        _lists(hashes.view(np.int64), ends),
-                    ],
-                    ["doc_id", "n", "regs", "grams"],
-                )
+                regs = _lists(sketch.ravel(), np.arange(len(sketch) + 1) * REGISTERS)
+                made = pa.RecordBatch.from_arrays([batch.column(0).slice(low, high - low), pa.array(np.diff(ends)), regs, _lists(hashes.view(np.int64), ends)], ["rep", "n", "regs", "grams"])
+                own = [np.asarray(x) == np.asarray(batch.column(k).slice(low, high - low)) for k, x in enumerate(_sums(hashes, ends), 2)]
+                yield made.filter(pa.array(own[0] & own[1]))  # a key may have several texts
 
     return run
 
@@ -146,47 +151,93 @@ def estimated(regs_a: Column, regs_b: Column, n_a: Column, n_b: Column) -> tuple
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets reach the threshold. Sketches thin them out before sets are moved."""
-    slim = sets.select("doc_id", "n", "regs")
-    a, b = (slim.select(F.col("doc_id").alias(x), F.col("n").alias(f"n_{x}"), F.col("regs").alias(f"regs_{x}")) for x in "ab")
+    slim = sets.select("rep", "n", "regs")
+    a, b = (slim.select(F.col("rep").alias(x), F.col("n").alias(f"n_{x}"), F.col("regs").alias(f"regs_{x}")) for x in "ab")
     both = pairs.join(a, "a").join(b, "b")
     guess, used = estimated(F.col("regs_a"), F.col("regs_b"), F.col("n_a"), F.col("n_b"))
     slack = 5 * F.sqrt(F.lit(percent / 100 * (1 - percent / 100)) / used)
     close = both.where(guess >= percent / 100 - slack).select("a", "b", "n_a", "n_b")
-    a, b = (sets.select(F.col("doc_id").alias(x), F.col("grams").alias(f"grams_{x}")) for x in "ab")
+    a, b = (sets.select(F.col("rep").alias(x), F.col("grams").alias(f"grams_{x}")) for x in "ab")
     shared = F.size(F.array_intersect("grams_a", "grams_b")).cast("long")
     full = close.join(a, "a").join(b, "b").withColumn("shared", shared)
     return full.where(100 * F.col("shared") >= percent * (F.col("n_a") + F.col("n_b") - F.col("shared"))).select("a", "b")
 
 
-def _reach(percent: int, n_a: str, u_a: str, n_b: str, u_b: str) -> Column:
-    """Whether two sets can still reach the threshold, given the shingles each shares with anyone."""
+def _reach(percent: int, n_a: str, u_a: str, n_b: str, u_b: str, more: str | None = None) -> Column:
+    """Whether two sets can still reach the threshold, if none of their ``u`` shingles is in both but ``more``."""
     most = F.least(F.col(n_a) - F.col(u_a), F.col(n_b) - F.col(u_b))
+    most = most if more is None else most + F.col(more)
     return 100 * most >= percent * (F.col(n_a) + F.col(n_b) - most)
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 85) -> DataFrame:
+def _same_ids(seen: DataFrame, classes: DataFrame) -> DataFrame:
+    """Pairs (a, b) of classes that rows of one id are in."""
+    apart = F.lit(False)
+    for c in ("f1", "f2", "n"):
+        apart = apart | (F.col(f"low_{c}") != F.col(f"high_{c}"))
+    bounds = [f(c).alias(f"{name}_{c}") for c in ("f1", "f2", "n") for name, f in (("low", F.min), ("high", F.max))]
+    told = seen.where("n > 0 and doc_id is not null").select("doc_id", "f1", "f2", "n")
+    several = told.groupBy("doc_id").agg(*bounds).where(apart).select("doc_id")
+    held = told.join(several, "doc_id").join(classes.select("f1", "f2", "n", "rep"), ["f1", "f2", "n"]).select("doc_id", "rep").distinct()
+    return held.join(held.groupBy("doc_id").agg(F.min("rep").alias("a")), "doc_id").where("a < rep").select("a", F.col("rep").alias("b"))
+
+
+def _across(met: DataFrame, classes: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of classes in different components that share a bucket and can still reach the threshold."""
+    torn = met.groupBy("band", "key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("members")).where("low < high").select("band", "key", "members")
+    torn = met.join(torn, ["band", "key"]).select("band", "key", "members", "rep", "n", "component")
+    reps = staged(torn.select("rep", "n", "component").distinct())
+    grams = staged(sets.join(reps.select("rep"), "rep", "left_semi").select("rep", F.explode("grams").alias("g")))
+    few = grams.groupBy("g").agg(F.count("*").alias("c")).where(F.col("c") <= RARE)
+    rare = staged(grams.join(few, "g"))
+    reps = staged(reps.join(rare.groupBy("rep").agg(F.count("*").alias("r")), "rep", "left").fillna(0, ["r"]))
+
+    held = rare.where("c > 1").join(reps, "rep").groupBy("g").agg(F.collect_list(F.struct("rep", "n", "r", "component")).alias("held"))  # RARE at most
+    pairs = held.select(F.explode("held").alias("x"), "held").select("x", F.explode("held").alias("y")).where("x.rep < y.rep and x.component <> y.component")
+    counted = pairs.groupBy(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"), F.col("x.n").alias("n_a"), F.col("y.n").alias("n_b"), F.col("x.r").alias("r_a"), F.col("y.r").alias("r_b")).agg(F.count("*").alias("shared"))
+    by_rare = counted.where(_reach(percent, "n_a", "r_a", "n_b", "r_b", "shared")).select("a", "b")
+
+    # a bucket of many classes is cut into parts, and its classes go to every part on the other side
+    parts = F.ceil(F.col("members") / PART_CLASSES).cast("int")
+    wide = torn.select("band", "key", "rep", parts.alias("parts")).join(reps, "rep").join(classes.select("rep", "bands"), "rep")
+    left = wide.withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
+    right = wide.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    left, right = (side.select("band", "key", "part", *(F.col(c).alias(f"{c}_{x}") for c in ("rep", "n", "r", "component", "bands"))) for side, x in ((left, "a"), (right, "b")))
+    first = F.array_position(F.zip_with("bands_a", "bands_b", lambda x, y: F.coalesce(x == y, F.lit(False))), True)
+    met_in = left.join(right, ["band", "key", "part"])
+    by_bucket = met_in.where((F.col("rep_a") < F.col("rep_b")) & (F.col("component_a") != F.col("component_b")) & _reach(percent, "n_a", "r_a", "n_b", "r_b") & (first == F.col("band") + 1))
+    return by_rare.unionByName(by_bucket.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b"))).distinct()
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80) -> DataFrame:
     """Groups of texts whose shingle sets have at least ``percent`` of their union in common.
 
     Returns doc_id, n_shingles, component_id (smallest id reachable) and kept, a row for each input row. Null and
-    empty texts have no shingles and stay alone; texts of fewer than ``width`` words count as one shingle. Rows
-    that share an id count as one document. ``percent`` is 1 to 99. Other columns are ignored, whatever their names.
+    empty texts have no shingles and stay alone; texts of fewer than ``width`` words count as one shingle. Rows that
+    share an id are one document: all their texts are in one component. Rows without an id are linked like others;
+    a component without any id has a null component_id, and one of its rows is kept. ``percent`` is 1 to 99. Other
+    columns are ignored, whatever their names.
     """
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    seen = staged(slim.mapInArrow(_sketches(width, band_rows(percent)), "doc_id long, n long, f1 long, f2 long, bands array<long>"))
-    classes = staged(seen.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.min_by("bands", "doc_id").alias("bands")))
+    slim = slim.select("doc_id", F.coalesce("doc_id", F.xxhash64("text")).alias("key"), "text")
+    sketched = slim.mapInArrow(_sketches(width, band_rows(percent)), "doc_id long, key long, n long, f1 long, f2 long, bands array<long>")
+    seen = staged(sketched.withColumn("row", F.monotonically_increasing_id()))
+    classes = seen.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("least"), F.min("row").alias("row"), F.min("key").alias("key"), F.first("bands").alias("bands"))
+    classes = staged(classes.withColumn("rep", F.monotonically_increasing_id()))
 
     # sets so small that one shingle more or less misses the threshold have equal partners only
     least = -(-percent // (100 - percent))
     rows = classes.where(F.col("n") >= least).select("rep", "n", F.posexplode("bands").alias("band", "key")).where("key is not null")
     shared = rows.groupBy("band", "key").agg(F.count("*").alias("c")).where("c > 1").select("band", "key")
     members = staged(rows.join(shared, ["band", "key"], "left_semi"))
-    candidates = members.select(F.col("rep").alias("doc_id")).distinct()
-    sets = staged(slim.join(candidates, "doc_id", "left_semi").mapInArrow(_full_sets(width), "doc_id long, n long, regs array<int>, grams array<long>").dropDuplicates(["doc_id"]))
+    candidates = classes.join(members.select("rep").distinct(), "rep", "left_semi").select("key", "rep", F.col("f1").alias("want1"), F.col("f2").alias("want2"))
+    texts = slim.select("key", "text").join(candidates, "key").select("rep", "text", "want1", "want2")
+    sets = staged(texts.mapInArrow(_full_sets(width), "rep long, n long, regs array<int>, grams array<long>").dropDuplicates(["rep"]))
 
-    able = sets.select(F.col("doc_id").alias("rep"), "n")
+    able = sets.select("rep", "n")
     for _ in range(UNIQUE_ROUNDS):  # who leaves makes more shingles unique among those who stay
-        grams = sets.join(able.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select("doc_id", F.explode("grams").alias("g"))
-        alone = grams.groupBy("g").agg(F.count("*").alias("c"), F.min("doc_id").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("u"))
+        grams = sets.join(able.select("rep"), "rep", "left_semi").select("rep", F.explode("grams").alias("g"))
+        alone = grams.groupBy("g").agg(F.count("*").alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("u"))
         able = staged(able.select("rep", "n").join(alone, "rep", "left").fillna(0, ["u"]).where(100 * (F.col("n") - F.col("u")) >= percent * F.col("n")))
     met = members.drop("n").join(able, "rep")
     size = met.groupBy("band", "key").agg(F.count("*").alias("c")).where("c > 1")
@@ -197,21 +248,19 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     star = met.join(hub, ["band", "key"]).select("rep", "n", "u", F.col("hub.rep").alias("hub"), F.col("hub.n").alias("hub_n"), F.col("hub.u").alias("hub_u"))
     star = star.where((F.col("rep") != F.col("hub")) & _reach(percent, "n", "u", "hub_n", "hub_u"))
     star = star.select(F.least("rep", "hub").alias("a"), F.greatest("rep", "hub").alias("b")).distinct()
-    links = staged(_confirmed(star, sets, percent))
+    links = staged(_confirmed(star, sets, percent).unionByName(_same_ids(seen, classes)))
     found = components(links)
 
     met = met.join(found.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    torn = met.groupBy("band", "key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("band", "key")
-    torn = staged(met.join(torn, ["band", "key"], "left_semi").select("band", "key", "rep", "n", "u", "component").join(classes.select("rep", "bands").dropDuplicates(["rep"]), "rep"))
-    left, right = (torn.select("band", "key", *(F.col(c).alias(f"{c}_{x}") for c in ("rep", "n", "u", "component", "bands"))) for x in "ab")
-    first = F.array_position(F.zip_with("bands_a", "bands_b", lambda x, y: F.coalesce(x == y, F.lit(False))), True)
-    across = left.join(right, ["band", "key"]).where((F.col("rep_a") < F.col("rep_b")) & (F.col("component_a") != F.col("component_b")) & _reach(percent, "n_a", "u_a", "n_b", "u_b") & (first == F.col("band") + 1))
-    more = staged(_confirmed(across.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")), sets, percent))
+    more = staged(_confirmed(_across(staged(met), classes, sets, percent), sets, percent))
     if not more.isEmpty():
         found = components(links.unionByName(more))
 
-    named = classes.select("f1", "f2", "n", "rep").join(found.withColumnRenamed("node", "rep"), "rep", "left").select("f1", "f2", "n", F.coalesce("component", "rep").alias("component"))
-    grouped = seen.select("doc_id", "n", "f1", "f2").join(named, ["f1", "f2", "n"], "left")
-    # an id that stands for several different texts takes the least of their components
-    out = grouped.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
-    return out.withColumn("kept", F.col("doc_id") == F.col("component_id"))
+    joined = classes.select("rep", "least", "row").join(found.withColumnRenamed("node", "rep"), "rep")
+    lowest = joined.groupBy("component").agg(F.min("least").alias("least"), F.min("row").alias("row"))
+    linked = joined.select("rep", "component").join(lowest, "component").select("rep", F.col("least").alias("component_id"), F.col("row").alias("first"), F.lit(True).alias("linked"))
+    named = classes.join(linked, "rep", "left").select("f1", "f2", "n", F.when(F.col("linked"), F.col("component_id")).otherwise(F.col("least")).alias("component_id"), F.coalesce("first", "row").alias("first"))
+    grouped = seen.select("doc_id", "n", "f1", "f2", "row").join(named, ["f1", "f2", "n"], "left")
+    out = grouped.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), F.coalesce("first", "row").alias("first"), "row")
+    kept = F.when(F.col("component_id").isNull(), F.col("row") == F.col("first")).otherwise(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    return out.select("doc_id", "n_shingles", "component_id", kept.alias("kept"))
