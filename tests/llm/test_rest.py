@@ -32,15 +32,22 @@ def brute_neighbours(rows, k=5):
     return out
 
 
-def test_search_recall(spark):
-    df = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
-    want = brute_neighbours([(r.vec_id, r.embedding) for r in df.collect()])
-    got = {}
+def searched(df):
+    got, shares = {}, {}
     for r in vector_search.nearest_neighbours(df).collect():
-        got.setdefault(r.query_id, []).append((r.rank, r.vec_id, r.score))
+        got.setdefault(r.query_id, []).append((r["rank"], r.vec_id, r.score))
+        shares[r.query_id] = (r.n_scanned, r.n_reranked)
+    return got, np.array(list(shares.values())).mean(axis=0)
+
+
+def held_against_brute_force(df, most_scanned, most_reranked):
+    vectors = [(r.vec_id, r.embedding) for r in df.collect()]
+    want = brute_neighbours(vectors)
+    got, shares = searched(df)
     assert set(got) == set(want)
     hits = sum(len({v for _, v, _ in got[q]} & {v for v, _ in want[q]}) for q in want)
     assert hits >= 0.9 * 5 * len(want)
+    assert (shares <= np.array([most_scanned, most_reranked]) * len(vectors)).all(), shares / len(vectors)
     exact = {(q, v): s for q in want for v, s in want[q]}
     for q, rows in got.items():
         rows.sort()
@@ -49,6 +56,21 @@ def test_search_recall(spark):
         assert [(-s, v) for _, v, s in rows] == sorted((-s, v) for _, v, s in rows)
 
 
+def test_search_recall(spark):
+    """The given vectors have no clusters: most cells are scanned, an eighth of the rows is reranked."""
+    held_against_brute_force(spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet"), 0.9, 0.13)
+
+
+def test_search_recall_in_clusters(spark, monkeypatch):
+    """With clusters a small part of the rows is scanned, and a smaller one reranked."""
+    draw = np.random.default_rng(4)
+    centres = draw.normal(size=(60, 32))
+    rows = [(i, (centres[i % 60] + 0.3 * draw.normal(size=32)).tolist()) for i in range(6000)]
+    monkeypatch.setattr(vector_search, "PART_ROWS", 100)
+    monkeypatch.setattr(vector_search, "QUERY_ROWS", 40)
+    held_against_brute_force(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), 0.5, 0.05)
+
+
 def test_search_edges(spark):
     kinds = "vec_id long, embedding array<float>, label int, cell int, part int"
     rows = [(0, [1.0, 0.0]), (1, [0.0, 0.0]), (2, None), (3, [1.0, None]), (4, [float("nan"), 1.0]), (5, [float("inf"), 1.0]), (6, [1.0, 1.0]), (7, [1.0, 1.0]), (None, [1.0, 0.0]), (8, []), (50, [2.0, 0.0])]
@@ -58,6 +80,12 @@ def test_search_edges(spark):
     assert vector_search.nearest_neighbours(df.where("false")).collect() == []
 
 
+def test_search_vectors_of_extreme_size(spark):
+    df = spark.createDataFrame([(0, [1e300, 1e300]), (1, [1e-300, 0.0]), (2, [1.0, 1.0])], "vec_id long, embedding array<double>")
+    got = [(r["rank"], r.vec_id, round(r.score, 12)) for r in vector_search.nearest_neighbours(df).collect()]
+    assert sorted(got) == [(1, 2, 1.0), (2, 1, round(0.5**0.5, 12))]
+
+
 def test_search_hot_vector(spark):
     """A third of all rows is one vector."""
     draw = np.random.default_rng(0)
