@@ -3,7 +3,8 @@
 A document becomes its token ids and an end mark; longer ones are cut so that all pieces but the first are full.
 Full pieces are sequences of their own. The others are dealt into blocks of bounded size; in a block each piece is
 placed, longest first, where the squared counts of open bins per residual gap become smallest. The pieces of bins
-that stay open at the end are packed once more over several blocks together, each where it leaves the least room.
+that stay open are packed again by the same rule, a few times in their block and then over several blocks together,
+where bins with a growing gap are let go.
 """
 
 from __future__ import annotations
@@ -27,6 +28,8 @@ END_ID = 2
 BLOCK_ROWS = 100_000
 #: blocks whose left-over pieces are packed together
 BLOCKS_TOGETHER = 8
+#: gap up to which a bin stays closed, in each round over a block, and over several blocks together
+IN_BLOCK, TOGETHER = (0, 0, 0), (0, 2, 4, 8, 16, 64, CAPACITY)
 
 
 def sum_of_squares(sizes: np.ndarray, capacity: int = CAPACITY) -> tuple[np.ndarray, np.ndarray]:
@@ -58,6 +61,22 @@ def sum_of_squares(sizes: np.ndarray, capacity: int = CAPACITY) -> tuple[np.ndar
     return bins, places
 
 
+def rounds(sizes: np.ndarray, gaps: tuple[int, ...], capacity: int = CAPACITY) -> tuple[np.ndarray, np.ndarray]:
+    """Bin and offset of items in falling order, by the rule applied again to what bins with larger gaps held.
+
+    Items whose bin was never closed have bin -1.
+    """
+    bins, places = np.full(len(sizes), -1, np.int64), np.zeros(len(sizes), np.int64)
+    left, opened = np.arange(len(sizes)), 0
+    for gap in gaps:
+        own, at = sum_of_squares(sizes[left], capacity)
+        closed = (np.bincount(own, sizes[left], minlength=1) >= capacity - gap)[own] if len(left) else np.zeros(0, bool)
+        bins[left[closed]], places[left[closed]] = opened + own[closed], at[closed]
+        opened += int(own.max()) + 1 if len(own) else 0
+        left = left[~closed]
+    return bins, places
+
+
 class JsonTokenizer:
     """Ids as the tokenizers library gives them for a JSON file, without special tokens.
 
@@ -149,14 +168,12 @@ def packed(pieces: DataFrame, capacity: int = CAPACITY, block_rows: int = BLOCK_
 
     def place(frame: pd.DataFrame) -> pd.DataFrame:
         frame = frame.sort_values(["length", "row_id"], ascending=[False, True], kind="stable")
-        sizes = frame["length"].to_numpy(np.int64)
-        bins, offsets = sum_of_squares(sizes, capacity)
-        full = np.bincount(bins, sizes, minlength=1)[bins] == capacity if len(sizes) else np.zeros(0, bool)
-        return frame.assign(bin=np.where(full, bins, -1), offset=offsets)
+        bins, offsets = rounds(frame["length"].to_numpy(np.int64), IN_BLOCK, capacity)
+        return frame.assign(bin=bins, offset=offsets)
 
     def gather(frame: pd.DataFrame) -> pd.DataFrame:
         frame = frame.sort_values(["length", "row_id"], ascending=[False, True], kind="stable")
-        bins, offsets = best_fit(frame["length"].to_numpy(np.int64), capacity)
+        bins, offsets = rounds(frame["length"].to_numpy(np.int64), (*TOGETHER, capacity), capacity)
         return frame.assign(bin=bins, offset=offsets)
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces.schema.fields)
@@ -167,25 +184,3 @@ def packed(pieces: DataFrame, capacity: int = CAPACITY, block_rows: int = BLOCK_
     again = left.groupBy("block").applyInPandas(gather, f"{kinds}, block long, bin long, offset long")
     again = again.withColumn("sequence_id", (F.col("block") * 2 + 1) * (1 << 32) + F.col("bin")).drop("block", "bin")
     return whole.unionByName(closed).unionByName(again).drop("row_id")
-
-
-def best_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:
-    """Bin and offset of items in falling order of size, each to the fullest bin that takes it."""
-    stacks: list[list[int]] = [[] for _ in range(capacity + 1)]
-    some = np.zeros(capacity + 1, bool)
-    bins, places = np.empty(len(sizes), np.int64), np.empty(len(sizes), np.int64)
-    opened = 0
-    for i, size in enumerate(sizes.tolist()):
-        k = int(some[size:].argmax())
-        if some[size + k]:
-            gap = size + k
-            target = stacks[gap].pop()
-            some[gap] = bool(stacks[gap])
-        else:
-            gap, target = capacity, opened
-            opened += 1
-        bins[i], places[i] = target, capacity - gap
-        if rest := gap - size:
-            stacks[rest].append(target)
-            some[rest] = True
-    return bins, places
