@@ -24,6 +24,10 @@ from pyspark.sql import functions as F
 
 from hopframe.llm.common import Remembered
 
+#: token pairs whose compatibility is remembered, some 30 MB in a worker
+PAIRS_KEPT = 250_000
+
+
 class BytePairCoder:
     """Encoder and decoder for a rank table ``{token bytes: rank}`` and a splitting pattern."""
 
@@ -61,7 +65,7 @@ class BytePairCoder:
 
     def _compatible(self, left: int, right: int) -> bool:
         """Whether merging by rank leaves a border between the two, had they been adjacent."""
-        key = (left, right)
+        key = left << 32 | right
         if key in self.fits:
             return self.fits[key]
         limit, good = 1 << 62, True
@@ -86,7 +90,7 @@ class BytePairCoder:
                     left = self.parts[left][1]
                     if left == limit:
                         break
-        if len(self.fits) > 2_000_000:
+        if len(self.fits) >= PAIRS_KEPT:
             self.fits.clear()
         self.fits[key] = good
         return good
@@ -118,6 +122,8 @@ class BytePairCoder:
             else:  # nothing goes from here after this token: never come here again
                 open_ends[here] = 0
                 tried[here] = len(options[here])
+                if not out:
+                    raise ValueError(f"the rank table cannot spell {piece[:32]!r}")
                 out.pop()
                 at.pop()
         return out

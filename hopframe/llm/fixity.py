@@ -1,12 +1,18 @@
 """Fixity audit of WARC archives with Merkle trees.
 
-Every record has a digest; ordered ranges of records have the digest of their parts', up to a root for each archive
-file and one root over all files. Two replicas are compared at the root, and only branches that differ are followed
-down to the damaged records.
+Every record has a digest over its bytes and its place in the file; ordered offset ranges have digests over their
+bounds and their parts, up to a root for each archive file and one root over all files. Leaves, ranges and roots are
+marked apart, so that no node can stand for one of another kind. Two replicas are compared at the root, and only
+branches that differ are followed down to the damaged records.
+
+Records are compared by file and place: a record that is inserted or lost, or changes its length, moves all later ones
+of its file, which then count as corrupt too.
 """
 
 from __future__ import annotations
 
+import gzip
+import logging
 from collections.abc import Iterator
 
 import pandas as pd
@@ -16,13 +22,16 @@ from pyspark.sql import functions as F
 
 from hopframe.llm.common import staged
 
+log = logging.getLogger(__name__)
+
 #: page ids of one archive file, and branches of a tree node
 FILE_IDS, FANOUT = 128, 16
 
 
 def record_text(page_id: Column, url: Column, html: Column) -> Column:
-    """A WARC record without its closing empty lines."""
+    """A WARC record without its closing empty lines. Line breaks in a URL are percent-encoded, lest they end its header."""
     url, html = F.coalesce(url, F.lit("")), F.coalesce(html, F.lit(""))
+    url = F.replace(F.replace(url, F.lit("\r"), F.lit("%0D")), F.lit("\n"), F.lit("%0A"))
     number = F.coalesce(page_id.cast("string"), F.lit(""))
     return F.concat(F.lit("WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: "), url, F.lit("\r\nWARC-Record-ID: <urn:page:"), number, F.lit(">\r\nContent-Type: text/html\r\nContent-Length: "), F.octet_length(html).cast("string"), F.lit("\r\n\r\n"), html)
 
@@ -43,47 +52,53 @@ def archive(pages: DataFrame) -> DataFrame:
 
 
 def write_archive(records: DataFrame, path: str) -> None:
-    """The archive as WARC text, a folder for each file (``file=...``)."""
-    records.select("file", "place", "record").repartition("file").sortWithinPartitions("file", "place").select("file", "record").write.partitionBy("file").option("lineSep", RECORD_END).text(path)
+    """The archive as compressed WARC text, a folder for each file (``file=...``)."""
+    rows = records.select("file", "place", "record").repartition("file").sortWithinPartitions("file", "place")
+    rows.select("file", "record").write.partitionBy("file").option("lineSep", RECORD_END).option("compression", "gzip").text(path)
 
 
 def read_archive(spark, path: str) -> DataFrame:
-    """file, place, first, length and record of what ``write_archive`` wrote, cut by the records' own lengths."""
+    """page_id, file, place, first, length and record of what ``write_archive`` wrote, cut by the records' own lengths."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
             for file, content in zip(frame["file"], frame["content"]):
+                content = gzip.decompress(content) if content[:2] == b"\x1f\x8b" else content
                 at, place, out = 0, 0, []
                 while at < len(content):
                     head = content.index(b"\r\n\r\n", at)
                     size = int(content[content.rindex(b"Content-Length: ", at, head) + 16 : head])
+                    named = content.rindex(b"<urn:page:", at, head) + 10
                     stop = head + 4 + size
-                    out.append((file, place, at, stop + len(RECORD_END) - at, content[at:stop].decode("utf-8")))
+                    out.append((content[named : content.index(b">", named)].decode(), file, place, at, stop + len(RECORD_END) - at, content[at:stop].decode("utf-8")))
                     at, place = stop + len(RECORD_END), place + 1
-                yield pd.DataFrame(out, columns=["file", "place", "first", "length", "record"])
+                yield pd.DataFrame(out, columns=["page_id", "file", "place", "first", "length", "record"])
 
     raw = spark.read.format("binaryFile").option("recursiveFileLookup", "true").option("pathGlobFilter", "part-*").load(path)
     files = raw.select(F.regexp_extract("path", "file=(-?[0-9]+)", 1).cast("long").alias("file"), "content")
-    return files.mapInPandas(run, "file long, place long, first long, length long, record string")
+    found = files.mapInPandas(run, "page_id string, file long, place long, first long, length long, record string")
+    return found.withColumn("page_id", F.when(F.col("page_id") != "", F.col("page_id")).cast("long"))
 
 
 def tree(records: DataFrame) -> DataFrame:
-    """All nodes of the tree over (file, place, record): kind ('record', 'range' or 'root'), level, file, place, digest.
+    """All nodes of the tree over (file, place, first, length, record): kind, level, file, place, digest.
 
-    ``range`` nodes are in the tree of one file, ``root`` nodes in that over the files, whose level counts on.
+    Kinds are 'record', 'range' (in the tree of one file) and 'root' (in that over the files, whose level counts on).
     """
-    leaves = staged(records.select("file", "place", F.sha2(F.col("record").cast("binary"), 256).alias("digest")))
+    stop = F.col("first") + F.col("length")
+    leaf = F.concat_ws("|", F.lit("record"), "first", stop, F.sha2(F.col("record").cast("binary"), 256))
+    leaves = staged(records.select("file", "place", "first", stop.alias("stop"), F.sha2(leaf, 256).alias("digest")))
     level, below, nodes = 0, leaves, leaves.select(F.lit("record").alias("kind"), F.lit(0).alias("level"), "file", "place", "digest")
     widest = leaves.agg(F.max("place")).first()[0]
     while widest is not None and (widest > 0 or level == 0):
         level, widest = level + 1, widest // FANOUT
-        below = _above(below, ["file"], "place")
+        below = _above(below, ["file"], "place", "range")
         nodes = nodes.unionByName(below.select(F.lit("range").alias("kind"), F.lit(level).alias("level"), "file", "place", "digest"))
-    roots = below.where("place = 0").select(F.lit(0).cast("long").alias("place"), "file", "digest")
+    roots = below.where("place = 0").select(F.lit(0).cast("long").alias("place"), "file", "first", "stop", "digest")
     span = leaves.agg(F.max("file"), F.min("file")).first()
     while span[0] is not None:
         level += 1
-        roots = _above(roots.select("place", "file", "digest"), ["place"], "file")
+        roots = _above(roots, ["place"], "file", "root")
         nodes = nodes.unionByName(roots.select(F.lit("root").alias("kind"), F.lit(level).alias("level"), "file", "place", "digest"))
         span = (span[0] // FANOUT, span[1] // FANOUT)
         if span[0] == span[1] or (span[0], span[1]) == (0, -1):  # files below zero keep a root of their own
@@ -91,11 +106,12 @@ def tree(records: DataFrame) -> DataFrame:
     return staged(nodes)
 
 
-def _above(nodes: DataFrame, same: list[str], along: str) -> DataFrame:
-    """Parents of ordered nodes: the digest of ``FANOUT`` neighbours' digests, in order."""
+def _above(nodes: DataFrame, same: list[str], along: str, kind: str) -> DataFrame:
+    """Parents of ordered nodes: the digest of their bounds and of ``FANOUT`` neighbours' digests, in order."""
     up = F.floor(F.col(along) / FANOUT)
-    joined = nodes.groupBy(*same, up.alias("up")).agg(F.sort_array(F.collect_list(F.struct(along, "digest"))).alias("parts"))
-    return joined.select(*same, F.col("up").alias(along), F.sha2(F.concat_ws("", F.col("parts.digest")), 256).alias("digest"))
+    joined = nodes.groupBy(*same, up.alias("up")).agg(F.min("first").alias("first"), F.max("stop").alias("stop"), F.sort_array(F.collect_list(F.struct(along, "digest"))).alias("parts"))
+    digest = F.sha2(F.concat_ws("|", F.lit(kind), "first", "stop", F.col("parts.digest")), 256)
+    return joined.select(*same, F.col("up").alias(along), "first", "stop", digest.alias("digest"))
 
 
 def audit(ours: DataFrame, theirs: DataFrame) -> tuple[DataFrame, list[tuple[int, int]]]:
@@ -127,7 +143,11 @@ def audit(ours: DataFrame, theirs: DataFrame) -> tuple[DataFrame, list[tuple[int
 
 
 def audited(records: DataFrame, replica: DataFrame) -> DataFrame:
-    """Every record with its place in the archive, its digest and what the audit says of it."""
-    found, _ = audit(tree(records), tree(replica))
+    """Every record with its place in the archive, its digest and what the audit says of it.
+
+    The nodes that the descent compared on each level are logged.
+    """
+    found, visited = audit(tree(records), tree(replica))
+    log.info("fixity audit: nodes compared by level %s", visited)
     rows = records.select("page_id", "file", "place", "first", "length", F.sha2(F.col("record").cast("binary"), 256).alias("record_sha256"))
     return rows.join(found, ["file", "place"], "left").withColumn("status", F.coalesce("status", F.lit("ok")))

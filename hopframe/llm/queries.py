@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hopframe.llm import bpe, chat, exact_dedup, fixity, language_id, near_dedup, packing, substring_dedup, toxicity, vector_search
-from hopframe.llm.common import fold, staged, table
+from hopframe.llm.common import fold, shared_dir, table
 
 
 #: rows of this remainder are held out of every fit
@@ -17,6 +17,7 @@ HELD_OUT = 2
 
 
 def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows without an id are predicted like others; nothing is learned from them, and their held_out is null."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     languages, matrix = language_id.fitted(docs, fold() != HELD_OUT)
     found = language_id.identified(docs, languages, matrix)
@@ -37,10 +38,12 @@ DAMAGED = "00"
 
 
 def op5_warc_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All pages as WARC records, audited against a replica in which a drill has changed some of them."""
-    records = staged(fixity.archive(table(spark, sf_dir, "pages")))
+    """All pages as a WARC archive, read back and audited against a replica in which a drill has changed some records."""
+    path = shared_dir(spark)
+    fixity.write_archive(fixity.archive(table(spark, sf_dir, "pages")), path)
+    records = fixity.read_archive(spark, path)
     hit = F.startswith(F.sha2(F.col("record").cast("binary"), 256), F.lit(DAMAGED))
-    replica = records.withColumn("record", F.when(hit, F.concat("record", F.lit("\0"))).otherwise(F.col("record")))
+    replica = records.withColumn("record", F.when(hit, F.concat(F.lit("X"), F.substring("record", 2, 1 << 30))).otherwise(F.col("record")))
     return fixity.audited(records, replica)
 
 
@@ -57,6 +60,7 @@ def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows without an id are scored like others; nothing is learned from them, and their held_out is null."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     weights = toxicity.fitted(docs, table(spark, sf_dir, "labels"), fold() != HELD_OUT)
     found = toxicity.scored(docs, weights)
@@ -90,7 +94,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 _FOLDED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
-_RECORD = """'WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: ' || coalesce(url, '') || '\r\nWARC-Record-ID: <urn:page:' || coalesce(CAST(page_id AS VARCHAR), '')
+_RECORD = """'WARC/1.1\r\nWARC-Type: resource\r\nWARC-Target-URI: ' || replace(replace(coalesce(url, ''), chr(13), '%0D'), chr(10), '%0A') || '\r\nWARC-Record-ID: <urn:page:' || coalesce(CAST(page_id AS VARCHAR), '')
     || '>\r\nContent-Type: text/html\r\nContent-Length: ' || CAST(strlen(coalesce(html, '')) AS VARCHAR) || '\r\n\r\n' || coalesce(html, '')"""
 
 ORACLES: dict[str, str] = {

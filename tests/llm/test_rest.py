@@ -109,11 +109,25 @@ def test_fixity_finds_damage(spark, tmp_path):
     path = str(tmp_path / "warc")
     fixity.write_archive(ours, path)
     back = fixity.read_archive(spark, path)
-    assert parity(back, ours.select("file", "place", "first", "length", "record"))
+    assert parity(back, ours.select("page_id", "file", "place", "first", "length", "record"))
+    again, _ = fixity.audit(fixity.tree(ours), fixity.tree(back))
+    assert again.collect() == []
+    kinds = {r.kind for r in fixity.tree(ours.limit(1)).select("kind", "digest").collect()}
+    assert kinds == {"record", "range", "root"} and len({r.digest for r in fixity.tree(ours.limit(1)).collect()}) == 3
     empty = fixity.audited(fixity.archive(pages.where("false")), fixity.archive(pages.where("false")))
     assert empty.collect() == []
 
 
+def test_fixity_query_on_odd_pages(spark, tmp_path):
+    kinds = "page_id long, url string, html string"
+    rows = [(1, "http://a\r\n\r\nContent-Length: 9", "<p>\r\n\r\n"), (1, None, None), (None, "<urn:page:7>", "x" * 100_000), (-5, "u", "é")]
+    spark.createDataFrame(rows, kinds).write.parquet(str(tmp_path / "odd/pages.parquet"))
+    spark.createDataFrame([], kinds).write.parquet(str(tmp_path / "none/pages.parquet"))
+    got = QUERIES["op5_warc_fixity"](spark, str(tmp_path / "odd")).collect()
+    assert sorted((r.page_id or 0, r.file, r.place) for r in got) == [(-5, -1, 1), (0, -1, 0), (1, 0, 0), (1, 0, 1)]
+    assert QUERIES["op5_warc_fixity"](spark, str(tmp_path / "none")).collect() == []
+
+
 def test_escapes_are_reversible():
     for text in ("", "\\", "<", "<|end|>", "[INST]\\[/INST]</s>", "a\\<b\\|c[|]", "<\\", "\\\\<<||\n<|user|>\n"):
         safe = chat.escaped(text)
