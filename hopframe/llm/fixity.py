@@ -12,8 +12,9 @@ of its file, which then count as corrupt too.
 from __future__ import annotations
 
 import gzip
+import hashlib
 import logging
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -54,11 +55,16 @@ def archive(pages: DataFrame) -> DataFrame:
 def write_archive(records: DataFrame, path: str) -> None:
     """The archive as compressed WARC text, a folder for each file (``file=...``)."""
     rows = records.select("file", "place", "record").repartition("file").sortWithinPartitions("file", "place")
-    rows.select("file", "record").write.partitionBy("file").option("lineSep", RECORD_END).option("compression", "gzip").text(path)
+    rows.select("file", "record").write.partitionBy("file").option("lineSep", RECORD_END).option("compression", "gzip").option("zlib.compress.level", "BEST_SPEED").text(path)
 
 
-def read_archive(spark, path: str) -> DataFrame:
-    """page_id, file, place, first, length and record of what ``write_archive`` wrote, cut by the records' own lengths."""
+def read_archive(spark, path: str, whole: bool = True, change: Callable[[bytes], bytes] | None = None) -> DataFrame:
+    """page_id, file, place, first, length, record and record_sha256 of what ``write_archive`` wrote.
+
+    Records are cut by their own lengths. Without ``whole`` there are digests only. ``change`` is a drill: it gets every
+    record's bytes and gives what is to be read in their place, of the same length.
+    """
+    names = ["page_id", "file", "place", "first", "length", *(["record"] if whole else []), "record_sha256"]
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
@@ -70,23 +76,30 @@ def read_archive(spark, path: str) -> DataFrame:
                     size = int(content[content.rindex(b"Content-Length: ", at, head) + 16 : head])
                     named = content.rindex(b"<urn:page:", at, head) + 10
                     stop = head + 4 + size
-                    out.append((content[named : content.index(b">", named)].decode(), file, place, at, stop + len(RECORD_END) - at, content[at:stop].decode("utf-8")))
+                    record = content[at:stop] if change is None else change(content[at:stop])
+                    told = [record.decode("utf-8")] if whole else []
+                    out.append((content[named : content.index(b">", named)].decode(), file, place, at, stop + len(RECORD_END) - at, *told, hashlib.sha256(record).hexdigest()))
                     at, place = stop + len(RECORD_END), place + 1
-                yield pd.DataFrame(out, columns=["page_id", "file", "place", "first", "length", "record"])
+                yield pd.DataFrame(out, columns=names)
 
     raw = spark.read.format("binaryFile").option("recursiveFileLookup", "true").option("pathGlobFilter", "part-*").load(path)
     files = raw.select(F.regexp_extract("path", "file=(-?[0-9]+)", 1).cast("long").alias("file"), "content")
-    found = files.mapInPandas(run, "page_id string, file long, place long, first long, length long, record string")
+    found = files.mapInPandas(run, f"page_id string, file long, place long, first long, length long, {'record string, ' if whole else ''}record_sha256 string")
     return found.withColumn("page_id", F.when(F.col("page_id") != "", F.col("page_id")).cast("long"))
 
 
+def _digest(records: DataFrame) -> Column:
+    """The record's digest, read or taken."""
+    return F.col("record_sha256") if "record_sha256" in records.columns else F.sha2(F.col("record").cast("binary"), 256)
+
+
 def tree(records: DataFrame) -> DataFrame:
-    """All nodes of the tree over (file, place, first, length, record): kind, level, file, place, digest.
+    """All nodes of the tree over (file, place, first, length, record or record_sha256): kind, level, file, place, digest.
 
     Kinds are 'record', 'range' (in the tree of one file) and 'root' (in that over the files, whose level counts on).
     """
     stop = F.col("first") + F.col("length")
-    leaf = F.concat_ws("|", F.lit("record"), "first", stop, F.sha2(F.col("record").cast("binary"), 256))
+    leaf = F.concat_ws("|", F.lit("record"), "first", stop, _digest(records))
     leaves = staged(records.select("file", "place", "first", stop.alias("stop"), F.sha2(leaf, 256).alias("digest")))
     level, below, nodes = 0, leaves, leaves.select(F.lit("record").alias("kind"), F.lit(0).alias("level"), "file", "place", "digest")
     widest = leaves.agg(F.max("place")).first()[0]
@@ -149,5 +162,5 @@ def audited(records: DataFrame, replica: DataFrame) -> DataFrame:
     """
     found, visited = audit(tree(records), tree(replica))
     log.info("fixity audit: nodes compared by level %s", visited)
-    rows = records.select("page_id", "file", "place", "first", "length", F.sha2(F.col("record").cast("binary"), 256).alias("record_sha256"))
+    rows = records.select("page_id", "file", "place", "first", "length", _digest(records).alias("record_sha256"))
     return rows.join(found, ["file", "place"], "left").withColumn("status", F.coalesce("status", F.lit("ok")))

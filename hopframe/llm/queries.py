@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Callable
 
 import public_tokenizers
@@ -9,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hopframe.llm import bpe, chat, exact_dedup, fixity, language_id, near_dedup, packing, substring_dedup, toxicity, vector_search
-from hopframe.llm.common import fold, shared_dir, table
+from hopframe.llm.common import fold, shared_dir, staged, table
 
 
 #: rows of this remainder are held out of every fit
@@ -41,10 +42,12 @@ def op5_warc_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All pages as a WARC archive, read back and audited against a replica in which a drill has changed some records."""
     path = shared_dir(spark)
     fixity.write_archive(fixity.archive(table(spark, sf_dir, "pages")), path)
-    records = fixity.read_archive(spark, path)
-    hit = F.startswith(F.sha2(F.col("record").cast("binary"), 256), F.lit(DAMAGED))
-    replica = records.withColumn("record", F.when(hit, F.concat(F.lit("X"), F.substring("record", 2, 1 << 30))).otherwise(F.col("record")))
-    return fixity.audited(records, replica)
+    records = staged(fixity.read_archive(spark, path, whole=False))
+    return fixity.audited(records, fixity.read_archive(spark, path, whole=False, change=_damaged))
+
+
+def _damaged(record: bytes) -> bytes:
+    return b"X" + record[1:] if hashlib.sha256(record).hexdigest().startswith(DAMAGED) else record
 
 
 def op6_chat(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -109,6 +109,8 @@ def test_fixity_finds_damage(spark, tmp_path):
     path = str(tmp_path / "warc")
     fixity.write_archive(ours, path)
     back = fixity.read_archive(spark, path)
+    assert parity(fixity.read_archive(spark, path, whole=False), back.drop("record"))
+    back = back.drop("record_sha256")
     assert parity(back, ours.select("page_id", "file", "place", "first", "length", "record"))
     again, _ = fixity.audit(fixity.tree(ours), fixity.tree(back))
     assert again.collect() == []
