@@ -20,6 +20,7 @@ Sets hold 64-bit hashes; words up to 16 bytes enter them byte by byte, longer on
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -36,8 +37,6 @@ MANTISSA_BITS = 18
 HASH_BITS = 52
 #: times that shingles held by one candidate only are counted among those that stay
 UNIQUE_ROUNDS = 3
-#: holders, at most, of a rare shingle
-RARE = 8
 #: classes of a bucket that meet in one task
 PART_CLASSES = 1024
 EMPTY = np.uint64(1 << 63)
@@ -89,6 +88,15 @@ def band_rows(percent: int) -> int:
     return 1
 
 
+def least_bands(percent: int) -> int:
+    """Bands that a pair at the threshold has in common, but for a probability of ``MISS`` at most."""
+    rows = band_rows(percent)
+    bands, p, least, below = REGISTERS // rows, (percent / 100) ** rows, 0, 0.0
+    while (below := below + comb(bands, least) * p**least * (1 - p) ** (bands - least)) <= MISS:
+        least += 1
+    return max(1, least)
+
+
 def band_keys(sketch: np.ndarray, rows: int) -> tuple[np.ndarray, np.ndarray]:
     """One 64-bit key for each band of ``rows`` registers, and whether the band holds anything."""
     bands = sketch.reshape(len(sketch), REGISTERS // rows, rows).astype(np.uint64)
@@ -187,15 +195,14 @@ def _across(met: DataFrame, classes: DataFrame, sets: DataFrame, percent: int) -
     torn = met.groupBy("band", "key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("members")).where("low < high").select("band", "key", "members")
     torn = met.join(torn, ["band", "key"]).select("band", "key", "members", "rep", "n", "component")
     reps = staged(torn.select("rep", "n", "component").distinct())
-    grams = staged(sets.join(reps.select("rep"), "rep", "left_semi").select("rep", F.explode("grams").alias("g")))
-    few = grams.groupBy("g").agg(F.count("*").alias("c")).where(F.col("c") <= RARE)
-    rare = staged(grams.join(few, "g"))
-    reps = staged(reps.join(rare.groupBy("rep").agg(F.count("*").alias("r")), "rep", "left").fillna(0, ["r"]))
+    grams = sets.join(reps.select("rep"), "rep", "left_semi").select("rep", F.explode("grams").alias("g"))
+    rare = staged(grams.groupBy("g").agg(F.count("*").alias("c"), F.min("rep").alias("a"), F.max("rep").alias("b")).where("c <= 2").groupBy("a", "b").agg(F.count("*").alias("shared")))
+    held = rare.select(F.explode(F.array_distinct(F.array("a", "b"))).alias("rep"), "shared").groupBy("rep").agg(F.sum("shared").alias("r"))
+    reps = staged(reps.join(held, "rep", "left").fillna(0, ["r"]))
 
-    held = rare.where("c > 1").join(reps, "rep").groupBy("g").agg(F.collect_list(F.struct("rep", "n", "r", "component")).alias("held"))  # RARE at most
-    pairs = held.select(F.explode("held").alias("x"), "held").select("x", F.explode("held").alias("y")).where("x.rep < y.rep and x.component <> y.component")
-    counted = pairs.groupBy(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"), F.col("x.n").alias("n_a"), F.col("y.n").alias("n_b"), F.col("x.r").alias("r_a"), F.col("y.r").alias("r_b")).agg(F.count("*").alias("shared"))
-    by_rare = counted.where(_reach(percent, "n_a", "r_a", "n_b", "r_b", "shared")).select("a", "b")
+    left, right = (reps.select(*(F.col(c).alias(f"{c}_{x}" if c != "rep" else x) for c in ("rep", "n", "r", "component"))) for x in "ab")
+    counted = rare.where("a < b").join(left, "a").join(right, "b")
+    by_rare = counted.where((F.col("component_a") != F.col("component_b")) & _reach(percent, "n_a", "r_a", "n_b", "r_b", "shared")).select("a", "b")
 
     # a bucket of many classes is cut into parts, and its classes go to every part on the other side
     parts = F.ceil(F.col("members") / PART_CLASSES).cast("int")
@@ -203,9 +210,10 @@ def _across(met: DataFrame, classes: DataFrame, sets: DataFrame, percent: int) -
     left = wide.withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
     right = wide.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     left, right = (side.select("band", "key", "part", *(F.col(c).alias(f"{c}_{x}") for c in ("rep", "n", "r", "component", "bands"))) for side, x in ((left, "a"), (right, "b")))
-    first = F.array_position(F.zip_with("bands_a", "bands_b", lambda x, y: F.coalesce(x == y, F.lit(False))), True)
+    alike = F.zip_with("bands_a", "bands_b", lambda x, y: F.coalesce(x == y, F.lit(False)))
+    enough = (F.array_position(alike, True) == F.col("band") + 1) & (F.size(F.filter(alike, lambda z: z)) >= least_bands(percent))
     met_in = left.join(right, ["band", "key", "part"])
-    by_bucket = met_in.where((F.col("rep_a") < F.col("rep_b")) & (F.col("component_a") != F.col("component_b")) & _reach(percent, "n_a", "r_a", "n_b", "r_b") & (first == F.col("band") + 1))
+    by_bucket = met_in.where((F.col("rep_a") < F.col("rep_b")) & (F.col("component_a") != F.col("component_b")) & _reach(percent, "n_a", "r_a", "n_b", "r_b") & enough)
     return by_rare.unionByName(by_bucket.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b"))).distinct()
 
 
