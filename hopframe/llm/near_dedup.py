@@ -38,7 +38,7 @@ HASH_BITS = 52
 #: times that shingles held by one candidate only are counted among those that stay
 UNIQUE_ROUNDS = 3
 #: classes of a bucket that meet in one task
-PART_CLASSES = 1024
+PART_CLASSES = 4096
 EMPTY = np.uint64(1 << 63)
 #: expected equal registers of disjoint sets: constant of the published HyperMinHash estimator
 COLLISION_CONSTANT = 0.169919487159739
@@ -206,7 +206,9 @@ def _across(met: DataFrame, classes: DataFrame, sets: DataFrame, percent: int) -
 
     # a bucket of many classes is cut into parts, and its classes go to every part on the other side
     parts = F.ceil(F.col("members") / PART_CLASSES).cast("int")
-    wide = torn.select("band", "key", "rep", parts.alias("parts")).join(reps, "rep").join(classes.select("rep", "bands"), "rep")
+    short = F.transform("bands", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int"))  # keys as told here; buckets go by whole ones
+    able = reps.where(_reach(percent, "n", "r", "n", "r"))
+    wide = torn.select("band", "key", "rep", parts.alias("parts")).join(able, "rep").join(classes.select("rep", short.alias("bands")), "rep")
     left = wide.withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
     right = wide.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     left, right = (side.select("band", "key", "part", *(F.col(c).alias(f"{c}_{x}") for c in ("rep", "n", "r", "component", "bands"))) for side, x in ((left, "a"), (right, "b")))
