@@ -62,6 +62,10 @@ FUNCTIONS: dict[str, str | tuple[str, str]] = {
     "explode": ("explode({0})", "unnest({0})"),
     "array": ("array({*})", "[{*}]"),
     "member": ("array_contains({1}, {0})", "list_contains({1}, {0})"),
+    "overlap": ("arrays_overlap({0}, {1})", "list_has_any({0}, {1})"),
+    # an edge's identity as text, as the path iterations write it
+    "id text": ("coalesce(replace(replace(CAST({0} AS STRING), '\\\\', '\\\\\\\\'), '|', '\\\\|'), '\\\\N')", "coalesce(replace(replace(CAST({0} AS VARCHAR), '\\', '\\\\'), '|', '\\|'), '\\N')"),
+    "edge text": "concat_ws('|', {*})",
     "date": "CAST({0} AS DATE)",
     "localdatetime": ("CAST({0} AS TIMESTAMP_NTZ)", "CAST({0} AS TIMESTAMP)"),
     "datetime": ("CAST({0} AS TIMESTAMP_NTZ)", "CAST({0} AS TIMESTAMP)"),

@@ -98,13 +98,12 @@ class Writer:
                 place = f"CASE WHEN {x(i)} >= 0 THEN {x(i)} + 1 ELSE {x(i)} END" if not isinstance(i, A.Lit) else str(i.value + 1 if i.value >= 0 else i.value)
                 return f"try_element_at({x(source)}, {place})" if self.dialect is Dialect.SPARK else f"list_extract({x(source)}, {place})"
             case A.Call("slice", (source, lo, hi)):
-                low = lo.value or 0 if isinstance(lo, A.Lit) else 0
                 s = x(source)
+                size = f"size({s})" if self.dialect is Dialect.SPARK else f"len({s})"
+                low, high = self.bound(lo, size, "0"), self.bound(hi, size, size)
                 if self.dialect is Dialect.SPARK:
-                    high = f"least({x(hi)}, size({s}))" if not (isinstance(hi, A.Lit) and hi.value is None) else f"size({s})"
-                    return f"slice({s}, {low + 1}, greatest({high} - {low}, 0))"
-                high = x(hi) if not (isinstance(hi, A.Lit) and hi.value is None) else f"len({s})"
-                return f"list_slice({s}, {low + 1}, {high})"
+                    return f"slice({s}, greatest({low}, 0) + 1, greatest(least({high}, {size}) - greatest({low}, 0), 0))"
+                return f"list_slice({s}, greatest({low}, 0) + 1, greatest({high}, 0))"
             case A.Call("range", args):
                 lo, hi = x(args[0]), x(args[1])
                 step = x(args[2]) if len(args) > 2 else "1"
@@ -120,6 +119,15 @@ class Writer:
                 return self.call(name + "_distinct" if distinct else name, [x(a) for a in args])
         raise TypeError(f"no SQL for {e!r}")
 
+    def bound(self, e: Any, size: str, missing: str) -> str:
+        """One end of a slice from the list's start; negative ends count from its end."""
+        if e is None or (isinstance(e, A.Lit) and e.value is None):
+            return missing
+        text = self.expr(e)
+        if isinstance(e, A.Lit):
+            return text if e.value >= 0 else f"({size} + {text})"
+        return f"(CASE WHEN {text} < 0 THEN {size} + {text} ELSE {text} END)"
+
     def comprehension(self, e: A.Comprehension) -> str:
         x, var = self.expr, e.var
         source = x(e.source)
@@ -211,24 +219,31 @@ class Writer:
         start = ", ".join([f"d.{a} AS {a}" for a in s] + [f"d.{a} AS {b}" for a, b in zip(s, t)])
         onward = ", ".join([f"w.{a}" for a in s] + [f"l.{b}" for b in t])
         limit = f" AND w.hops < {it.hi}" if it.hi is not None else ""
-        if it.mode == "reach" and it.hi is None and self.dialect is Dialect.DUCKDB:
+        # a walk that comes back over the edge it took is no path, so undirected links need the edges
+        plain = self.dialect is Dialect.DUCKDB and it.mode in ("reach", "shortest") and not it.undirected and not it.traced
+        if plain and it.hi is None and it.mode == "reach":
             # pairs alone: the recursion ends when no pair is new
             one = f"SELECT {start} FROM {seeds} d" if it.lo == 0 else f"SELECT {', '.join([f'd.{a} AS {a}' for a in s] + [f'l.{b} AS {b}' for b in t])} FROM {seeds} d JOIN {link} l ON {' AND '.join(f'd.{a} = l.{a}' for a in s)}"
             self.with_clauses.append(f"{me} AS ({one} UNION SELECT {onward} FROM {me} w JOIN {link} l ON {on})")
             return f"SELECT {keys}, {it.lo} AS hops FROM {me}"
-        if it.mode == "reach" and self.dialect is Dialect.DUCKDB:
+        if plain and it.hi is not None:
             self.with_clauses.append(f"{me} AS (SELECT {start}, 0 AS hops FROM {seeds} d UNION SELECT {onward}, w.hops + 1 FROM {me} w JOIN {link} l ON {on} WHERE true{limit})")
             return f"SELECT {keys}, min(hops) AS hops FROM {me} WHERE hops >= {it.lo} GROUP BY {keys}"
         duck = self.dialect is Dialect.DUCKDB
-        edge = "concat_ws('|', " + ", ".join(f"CAST(l.e{i} AS {'VARCHAR' if duck else 'STRING'})" for i in range(it.ids)) + ")"
+        ids = [f"l.e{i}" for i in range(it.ids)]
+        edge = self.call("tostring", ids) if it.ids == 1 else self.call("edge text", [self.call("id text", [x]) for x in ids])
+        node = "{0}.{1}0" if n == 1 else ("struct_pack(" if duck else "named_struct(") + ", ".join(f"k{i} := {{0}}.{{1}}{i}" if duck else f"'k{i}', {{0}}.{{1}}{i}" for i in range(n)) + ")"
+        array, append = ("[{0}]", "list_append") if duck else ("array({0})", "array_append")
         used = f"{'list' if duck else 'array'}_contains(w.used, {edge})"
-        more = f"{'list' if duck else 'array'}_append(w.used, {edge})"
-        first = f"SELECT {start}, 0 AS hops, CAST({'[] AS VARCHAR[]' if duck else 'array() AS ARRAY<STRING>'}) AS used FROM {seeds} d"
-        step = f"SELECT {onward}, w.hops + 1, {more} FROM {me} w JOIN {link} l ON {on} WHERE NOT {used}{limit}"
+        first = f"SELECT {start}, 0 AS hops, CAST({'[] AS VARCHAR[]' if duck else 'array() AS ARRAY<STRING>'}) AS used, {array.format(node.format('d', 's'))} AS nodes FROM {seeds} d"
+        step = f"SELECT {onward}, w.hops + 1, {append}(w.used, {edge}), {append}(w.nodes, {node.format('l', 't')}) FROM {me} w JOIN {link} l ON {on} WHERE NOT {used}{limit}"
         self.with_clauses.append(f"{me} AS ({first} UNION ALL {step})")
-        if it.mode == "reach":
+        if it.mode == "reach" or (it.mode == "shortest" and not it.traced):
             return f"SELECT {keys}, min(hops) AS hops FROM {me} WHERE hops >= {it.lo} GROUP BY {keys}"
-        return f"SELECT {keys}, hops FROM {me} WHERE hops >= {it.lo}"
+        if it.mode in ("shortest", "all shortest"):
+            every = f"SELECT *, rank() OVER (PARTITION BY {keys} ORDER BY hops) AS place, row_number() OVER (PARTITION BY {keys} ORDER BY hops, nodes, used) AS single FROM {me} WHERE hops >= {it.lo}"
+            return f"SELECT {keys}, hops, used, nodes FROM ({every}) ranked WHERE {'place' if it.mode == 'all shortest' else 'single'} = 1"
+        return f"SELECT {keys}, hops, used, nodes FROM {me} WHERE hops >= {it.lo}"
 
     def statement(self, rel: R.Rel) -> str:
         body = self.rel(rel)

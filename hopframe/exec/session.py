@@ -8,6 +8,7 @@ from dataclasses import dataclass
 from typing import Any
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from hopframe.catalog.model import GraphMap
 from hopframe.emit.dataframe import to_dataframe
@@ -20,6 +21,23 @@ from hopframe.plan.compile import Compiler, walk
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 
+def walked(it: R.Iterate, link: DataFrame, seeds: DataFrame, pairs: DataFrame | None) -> DataFrame:
+    """Runs one path iteration."""
+    match it.mode:
+        case "forest":
+            return forms.ancestors(link, seeds, it.keys, it.lo, it.hi)
+        case "reach":
+            return forms.reach(link, seeds, it.keys, it.lo, it.hi, it.ids, it.undirected)
+        case "trail":
+            return forms.trails(link, seeds, it.keys, it.lo, it.hi, it.ids)
+        case "shortest" if not it.traced:
+            found = forms.reach(link, seeds, it.keys, 0, it.hi, it.ids) if pairs is None else forms.between(link, pairs, it.keys, it.hi)
+            return found.where(F.col("hops") >= it.lo)
+        case "shortest" | "all shortest":
+            return forms.shortest_paths(link, seeds, it.keys, it.lo, it.hi, it.ids, pairs, it.mode == "all shortest")
+    raise ValueError(f"no iteration {it.mode!r}")
+
+
 @dataclass(frozen=True)
 class Trace:
     """What each stage made of a query."""
@@ -83,8 +101,8 @@ class GraphSession:
 
         def iterated(it: R.Iterate) -> DataFrame:
             if it not in done:
-                link, seeds = (to_dataframe(self.spark, x, self.table, iterated) for x in (it.link, it.seeds))
-                done[it] = forms.doubling(link, seeds, it.keys, it.lo, it.hi) if it.mode == "forest" else forms.frontier(link, seeds, it.keys, it.lo, it.hi, it.mode, it.ids)
+                link, seeds, pairs = (None if x is None else to_dataframe(self.spark, x, self.table, iterated) for x in (it.link, it.seeds, it.pairs))
+                done[it] = walked(it, link, seeds, pairs)
             return done[it]
 
         return to_dataframe(self.spark, plan, self.table, iterated)
@@ -131,7 +149,6 @@ class GraphSession:
     def retrieve(self, edge: str, label: str, seeds: list[int], hops: int, limit_per_hop: int) -> DataFrame:
         """Retrieval for language models: rows of each hop around the seeds, the smallest ids first."""
         from pyspark.sql import Window as W
-        from pyspark.sql import functions as F
 
         found = self.cypher(f"MATCH p = (a:{label})-[:{edge}*1..{hops}]->(b:{label}) WHERE a.id IN $seeds RETURN b.id AS id, min(length(p)) AS hops", seeds=seeds)
         return found.withColumn("rank", F.row_number().over(W.partitionBy("hops").orderBy("id"))).where(F.col("rank") <= limit_per_hop)

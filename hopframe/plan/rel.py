@@ -44,7 +44,12 @@ class Iterate:
     ids: int
     lo: int
     hi: int | None
-    mode: str  # 'reach': each pair once with its least length; 'trail': each path that repeats no edge; 'forest': single parents
+    #: 'reach': each pair once with its least length; 'trail': each path that repeats no edge; 'forest': single parents;
+    #: 'shortest': one shortest path of each pair; 'all shortest': every one
+    mode: str
+    undirected: bool = False
+    pairs: Any = None  # the (s*, t*) asked for, where both ends are known
+    traced: bool = False  # with the edges used and the nodes passed, in order
 
 
 @dataclass(frozen=True)
