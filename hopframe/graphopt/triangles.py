@@ -21,9 +21,13 @@ def undirected_triangles(link: DataFrame) -> DataFrame:
 
 
 def directed_triangles(link: DataFrame) -> DataFrame:
-    """(a, b, c) of every directed cycle of three distinct nodes, once, from its least node."""
-    pairs = link.where("s0 <> t0").select("s0", "t0").distinct()
-    ab = pairs.select(F.col("s0").alias("a"), F.col("t0").alias("b")).where("a < b")
-    bc = pairs.select(F.col("s0").alias("b"), F.col("t0").alias("c"))
-    ca = pairs.select(F.col("s0").alias("c"), F.col("t0").alias("a"))
-    return ab.join(bc, "b").where("a < c").join(ca, ["c", "a"]).select("a", "b", "c")
+    """(a, b, c) of every directed cycle of three distinct nodes, once, from its least node.
+
+    Undirected triangles bound the candidates; the two ways round each are held against the arcs.
+    """
+    arcs = link.where("s0 <> t0").select("s0", "t0").distinct()
+    found = undirected_triangles(link)
+    ways = found.unionAll(found.select("a", F.col("c").alias("b"), F.col("b").alias("c")))
+    for x, y in ("ab", "bc", "ca"):
+        ways = ways.join(arcs.select(F.col("s0").alias(x), F.col("t0").alias(y)), [x, y], "left_semi")
+    return ways.select("a", "b", "c")

@@ -332,12 +332,13 @@ def ranged(link: DataFrame, lo: int, hi: int, form: str, keys: int = 1, ids: int
     return reduce(DataFrame.unionByName, [p.select(*s, *t, "hops") for p in parts])
 
 
-def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str | None = None, max_rounds: int | None = None) -> DataFrame:
+def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str | None = None, max_rounds: int | None = None, together: bool = False) -> DataFrame:
     """(s0, t0, cost, paths): least number of hops (or sum of ``weight``) and, by hops, how many shortest paths.
 
     Many sources advance together, a level a round. With weights, labels are corrected until none falls further;
-    weights must not be negative. Pairs that no path joins are missing. PathLimit if anything still moves after
-    ``max_rounds`` (REACH_ROUNDS if not given).
+    weights must not be negative. ``together`` takes the sources for one (s0 is null): a label for each node in place
+    of one for each pair. Pairs that no path joins are missing. PathLimit if anything still moves after ``max_rounds``
+    (REACH_ROUNDS if not given).
     """
     most = REACH_ROUNDS if max_rounds is None else max_rounds
     limit = PathLimit(f"distances still change after {most} rounds")
@@ -355,17 +356,19 @@ def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str
                 raise limit
             done = staged(done.unionByName(level))
         return done.join(goal, "t0").select("s0", "t0", "cost", "paths")
-    best = staged(source.select("s0").distinct().select("s0", F.col("s0").alias("t0"), F.lit(0.0).alias("cost")))
-    moved = best
+    own = F.lit(0).cast(source.schema["s0"].dataType) if together else F.col("s0")
+    best = staged(source.select("s0").distinct().select(own.alias("s0"), F.col("s0").alias("t0"), F.lit(0.0).alias("cost"), F.lit(True).alias("moved")))
+    hop = edges.select(F.col("s0").alias("t0"), F.col("t0").alias("next"), F.col(weight).cast("double").alias("w"))
     for depth in range(1, most + 2):
-        reached = moved.join(edges.select(F.col("s0").alias("t0"), F.col("t0").alias("next"), F.col(weight).cast("double").alias("w")), "t0").groupBy("s0", F.col("next").alias("t0")).agg(F.min(F.col("cost") + F.col("w")).alias("found"))
-        moved = staged(reached.join(best, ["s0", "t0"], "left").where(F.col("cost").isNull() | (F.col("found") < F.col("cost"))).select("s0", "t0", F.col("found").alias("cost")))
-        if moved.isEmpty():
+        reached = best.where("moved").join(hop, "t0").select("s0", F.col("next").alias("t0"), (F.col("cost") + F.col("w")).alias("cost"), F.lit(None).cast("double").alias("was"))
+        both = best.select("s0", "t0", "cost", F.col("cost").alias("was")).unionByName(reached)
+        best = staged(both.groupBy("s0", "t0").agg(F.min("cost").alias("cost"), F.min("was").alias("was")).select("s0", "t0", "cost", (F.col("was").isNull() | (F.col("cost") < F.col("was"))).alias("moved")))
+        if best.where("moved").isEmpty():
             break
         if depth > most:
             raise limit
-        best = staged(best.unionByName(moved).groupBy("s0", "t0").agg(F.min("cost").alias("cost")))
-    return best.join(goal, "t0").select("s0", "t0", "cost", F.lit(1).cast("long").alias("paths"))
+    found = best.join(goal, "t0").select("s0", "t0", "cost", F.lit(1).cast("long").alias("paths"))
+    return found.withColumn("s0", F.lit(None).cast(source.schema["s0"].dataType)) if together else found
 
 
 def adjacency(link: DataFrame, chunk: int = 65_536) -> DataFrame:

@@ -31,5 +31,7 @@ HOT = f"{TOUCH}, hot AS (SELECT * FROM touch WHERE ty = 'click' AND v > 80)"
 #: both directions, loops once
 BOTH = f"{TOUCH}, both_ways AS (SELECT id, src, dst, ts, v FROM touch UNION ALL SELECT id, dst, src, ts, v FROM touch WHERE src <> dst)"
 HOT_BOTH = f"{HOT}, hu AS (SELECT id, src, dst, v FROM hot UNION ALL SELECT id, dst, src, v FROM hot WHERE src <> dst)"
-#: distinct ends of one and two hops over hot edges, both ways, from customer 7
-NEAR2 = f"{HOT_BOTH}, near AS (SELECT dst AS id FROM hu WHERE src = 7 UNION SELECT b.dst FROM hu a JOIN hu b ON a.dst = b.src AND a.id <> b.id WHERE a.src = 7), near2 AS (SELECT id FROM near WHERE id <> 7)"
+#: neighbours over all interactions, each pair once
+NB = f"{BOTH}, nb AS (SELECT DISTINCT src, dst FROM both_ways)"
+#: ends of one and two hops over interactions of any type, both ways, from customer 7
+NEAR2 = f"{NB}, near2 AS (SELECT id FROM (SELECT dst AS id FROM nb WHERE src = 7 UNION SELECT y.dst FROM nb x JOIN nb y ON x.dst = y.src WHERE x.src = 7) WHERE id <> 7)"

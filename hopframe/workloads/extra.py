@@ -12,7 +12,7 @@ from hopframe.graphopt import factor, triangles
 from hopframe.measure.measures import plan_shape
 from hopframe.paths import forms
 from hopframe.workloads import patterns, snb
-from hopframe.workloads.base import BOTH, HOT, HOT_BOTH, TOUCH, Runner
+from hopframe.workloads.base import BOTH, HOT, HOT_BOTH, NB, TOUCH, Runner
 
 
 def session(spark: SparkSession, sf_dir: str) -> GraphSession:
@@ -81,53 +81,131 @@ def frontier_distances(spark: SparkSession, sf_dir: str) -> DataFrame:
     return forms.frontier(hot(spark, sf_dir), seed(spark, 7), lo=0).groupBy("hops").agg(F.count("*").alias("n"))
 
 
-def all_shortest(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = forms.shortest(undirected(hot(spark, sf_dir)), seed(spark, 7), spark.createDataFrame([(50,)], "t0 long"))
-    return found.select(F.col("cost").cast("long").alias("hops"), "paths")
+def _all_shortest(link) -> Runner:
+    """All shortest paths between accounts 7 and 50, with the sum of the values of their edges."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        edges = undirected(link(spark, sf_dir))
+        pair = seed(spark, 7).withColumn("t0", F.lit(50).cast("long"))
+        found = forms.shortest_paths(edges, seed(spark, 7), pairs=pair).select("hops", "nodes", F.col("used").alias("path"), F.explode("used").alias("edge"))
+        valued = found.join(link(spark, sf_dir).select(F.col("e0").cast("string").alias("edge"), "value"), "edge")
+        weighed = valued.groupBy("hops", "nodes", "path").agg(F.round(F.sum("value"), 6).alias("weight"))
+        return weighed.select("hops", F.array_join(F.col("nodes").cast("array<string>"), "-").alias("nodes"), F.array_join("path", "-").alias("edges"), "weight")
+
+    return run
+
+
+def _shortest_sql(edges: str, table: str) -> str:
+    """Distances from 7 over distinct neighbours, then paths traced back along falling distances."""
+    return f"""WITH RECURSIVE {edges}, d0 AS (SELECT DISTINCT src, dst FROM {table}),
+        w AS (SELECT CAST(7 AS BIGINT) AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN d0 ON t = src WHERE d < 12 AND t <> 50), m AS (SELECT t, min(d) AS d FROM w GROUP BY 1),
+        p AS (SELECT t, d, d AS hops, CAST(t AS VARCHAR) AS nodes, '' AS edges, CAST(0 AS DOUBLE) AS weight FROM m WHERE t = 50
+              UNION ALL SELECT e.src, p.d - 1, hops, e.src || '-' || nodes, e.id || CASE WHEN edges = '' THEN '' ELSE '-' || edges END, weight + e.v
+              FROM p JOIN {table} e ON e.dst = p.t JOIN m ON m.t = e.src AND m.d = p.d - 1)
+        SELECT CAST(hops AS BIGINT) AS hops, nodes, edges, round(weight, 6) AS weight FROM p WHERE d = 0 AND hops > 0"""
 
 
-def _weighted(spark: SparkSession, sf_dir: str, source: DataFrame, target: DataFrame) -> DataFrame:
-    link = undirected(hot(spark, sf_dir)).withColumn("w", F.lit(100.0) / F.col("value"))
-    return forms.shortest(link, source, target, "w").select(F.col("s0").alias("a"), F.col("t0").alias("b"), F.round("cost", 6).alias("cost"))
+def _near_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs of accounts, both ways, at the cost of one by the number of their interactions from the fifth day on."""
+    window = touch(spark, sf_dir).where("ts >= timestamp_ntz'2024-01-05'")
+    return undirected(window).groupBy("s0", "t0").agg((F.lit(1.0) / F.count("*")).alias("w"))
 
 
-def bi15(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _weighted(spark, sf_dir, seed(spark, 7), spark.createDataFrame([(50,)], "t0 long"))
+def _hot_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return undirected(hot(spark, sf_dir)).withColumn("w", F.lit(100.0) / F.col("value"))
+
+
+def _told(found: DataFrame) -> DataFrame:
+    return found.select(F.col("t0").alias("id"), F.round("cost", 6).alias("cost"))
+
+
+def _bi15(weights) -> Runner:
+    """Cost of the cheapest path between accounts 7 and 50."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return _told(forms.shortest(weights(spark, sf_dir), seed(spark, 7), spark.createDataFrame([(50,)], "t0 long"), "w"))
+
+    return run
 
 
 def _nation(spark: SparkSession, sf_dir: str, nation: int, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/customer.parquet").where(F.col("c_nationkey") == nation).select(F.col("c_custkey").alias(name))
 
 
-def bi19(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Cheapest pairs between customers of two nations."""
-    found = _weighted(spark, sf_dir, _nation(spark, sf_dir, 3, "s0"), _nation(spark, sf_dir, 8, "t0")).where("cost < 3")
-    return found.orderBy("cost", "a", "b").limit(20)
+def _bi19(weights) -> Runner:
+    """For customers of nation 8 the cheapest path from any customer of nation 3, the cheapest twenty."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        found = forms.shortest(weights(spark, sf_dir), _nation(spark, sf_dir, 3, "s0"), _nation(spark, sf_dir, 8, "t0"), "w", together=True)
+        return _told(found).orderBy("cost", "id").limit(20)
+
+    return run
 
 
-def bi20(spark: SparkSession, sf_dir: str) -> DataFrame:
-    served = session(spark, sf_dir).cypher("MATCH (s:Supplier {id: 5})-[:SHIPPED]->(o:Order)<-[:PLACED]-(c:Customer) RETURN DISTINCT c.id AS t0")
-    return _weighted(spark, sf_dir, seed(spark, 7), served).where("a <> b and cost < 3").orderBy("cost", "b").limit(5)
+def _bi20(weights) -> Runner:
+    """The cheapest paths from customer 7 to five customers served by supplier 5."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        served = session(spark, sf_dir).cypher("MATCH (s:Supplier {id: 5})-[:SHIPPED]->(o:Order)<-[:PLACED]-(c:Customer) WHERE c.id <> 7 RETURN DISTINCT c.id AS t0")
+        return _told(forms.shortest(weights(spark, sf_dir), seed(spark, 7), served, "w")).orderBy("cost", "id").limit(5)
+
+    return run
+
 
+_NEAR_COSTS = f"{BOTH}, costs AS (SELECT src, dst, CAST(1 AS DOUBLE) / count(*) AS w FROM both_ways WHERE ts >= TIMESTAMP '2024-01-05' GROUP BY 1, 2)"
+_HOT_COSTS = f"{HOT_BOTH}, costs AS (SELECT src, dst, min(100.0 / v) AS w FROM hu GROUP BY 1, 2)"
+#: rounds of relaxation, twice as many as any of the given tables needs
+_ROUNDS = 24
 
-def _cheapest(source: str, target: str, rest: str) -> str:
-    return f"""WITH RECURSIVE {HOT_BOTH}, w AS (SELECT s AS a, s AS t, CAST(0 AS DOUBLE) AS cost, 0 AS d FROM ({source}) UNION ALL
-        SELECT a, dst, cost + 100.0 / v, d + 1 FROM w JOIN hu ON t = src WHERE d < 6 AND cost + 100.0 / v < 4),
-        m AS (SELECT a, t AS b, round(min(cost), 6) AS cost FROM w WHERE t IN ({target}) GROUP BY 1, 2) SELECT a, b, cost FROM m {rest}"""
+
+def _relaxed(costs: str, source: str, target: str, rest: str = "") -> str:
+    """Distances from the sources taken together, relaxed round by round."""
+    rounds = [f"c0 AS MATERIALIZED (SELECT s AS t, CAST(0 AS DOUBLE) AS cost FROM ({source}))"]
+    rounds += [f"c{i} AS MATERIALIZED (SELECT t, min(cost) AS cost FROM (FROM c{i - 1} UNION ALL SELECT dst, cost + w FROM c{i - 1} JOIN costs ON t = src) GROUP BY 1)" for i in range(1, _ROUNDS + 1)]
+    return f"WITH {costs}, {', '.join(rounds)} SELECT t AS id, round(cost, 6) AS cost FROM c{_ROUNDS} WHERE t IN ({target}) {rest}"
+
+
+_SERVED = "SELECT o_custkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_suppkey = 5 AND o_custkey <> 7"
+_CHEAPEST = {
+    "bi15": (_bi15, ("SELECT 7 AS s", "SELECT 50")),
+    "bi19": (_bi19, ("SELECT c_custkey AS s FROM customer WHERE c_nationkey = 3", "SELECT c_custkey FROM customer WHERE c_nationkey = 8", "ORDER BY cost, id LIMIT 20")),
+    "bi20": (_bi20, ("SELECT 7 AS s", _SERVED, "ORDER BY cost, id LIMIT 5")),
+}
+
+
+def bi4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The customers with most orders from the top supplier of each nation."""
+    g = session(spark, sf_dir)
+    ranked = g.cypher("MATCH (n:Nation)<-[:BASED_IN]-(s:Supplier)-[:SHIPPED]->(o:Order) RETURN n.id AS nation, s.id AS supplier, count(DISTINCT o) AS k")
+    top = ranked.groupBy("nation").agg(F.max(F.struct("k", (-F.col("supplier")).alias("s"))).alias("top")).select((-F.col("top.s")).alias("supplier"))
+    served = g.cypher("MATCH (s:Supplier)-[:SHIPPED]->(o:Order)<-[:PLACED]-(c:Customer) RETURN s.id AS supplier, c.id AS customer, o.id AS order_id")
+    found = served.join(top, "supplier", "left_semi").groupBy("customer").agg(F.count_distinct("order_id").alias("n"))
+    return found.orderBy(F.desc("n"), "customer").limit(20)
+
+
+def bi14(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """For each other nation the pair of a customer of nation 3 and one of its own that interact most, either way."""
+    pairs = session(spark, sf_dir).cypher("MATCH (a:Customer {nation: 3})-[:INTERACTS]-(b:Customer) WHERE b.nation <> 3 RETURN b.nation AS nation, a.id AS a, b.id AS b, count(*) AS score")
+    best = pairs.groupBy("nation").agg(F.max(F.struct("score", (-F.col("a")).alias("a"), (-F.col("b")).alias("b"))).alias("best"))
+    return best.select("nation", (-F.col("best.a")).alias("a"), (-F.col("best.b")).alias("b"), "best.score")
 
 
 def undirected_triangles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return triangles.undirected_triangles(touch(spark, sf_dir).where("event_type = 'click'"))
+    return triangles.undirected_triangles(touch(spark, sf_dir))
 
 
 def directed_triangles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return triangles.directed_triangles(touch(spark, sf_dir).where("event_type = 'click'"))
+    return triangles.directed_triangles(touch(spark, sf_dir))
 
 
 def csr(spark: SparkSession, sf_dir: str) -> DataFrame:
     return forms.adjacency(touch(spark, sf_dir), chunk=16).groupBy("s0").agg(F.count("*").alias("parts"), F.sum(F.size("out")).cast("long").alias("edges"), F.max(F.size("out")).alias("widest")).select("s0", "edges")
 
 
+def msbfs_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return forms.multi_source(touch(spark, sf_dir), seed(spark, 7, 8, 9)).groupBy("s0", "hops").agg(F.count("*").alias("n"))
+
+
 def msbfs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return forms.multi_source(hot(spark, sf_dir), seed(spark, 7, 8, 9)).groupBy("s0", "hops").agg(F.count("*").alias("n"))
 
@@ -193,7 +271,7 @@ def discovered_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def retrieved(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return session(spark, sf_dir).retrieve("HOT_CLICK", "Account", [7, 8], 2, 5).select("id", "hops")
+    return session(spark, sf_dir).retrieve("TOUCHED", "Account", [7, 8], 2, 5).select("id", "hops")
 
 
 def procedures(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -231,7 +309,35 @@ _TYPES = "ACTED BASED_IN CLICK COMPONENT_OF CONTAINS DID ERROR FLAGGED HOT_CLICK
 _WHOLE = {"customer": ["c_custkey", "c_nationkey"], "orders": ["o_orderkey", "o_custkey"], "part": ["p_partkey", "p_size"], "supplier": ["s_suppkey", "s_nationkey"], "nation": ["n_nationkey", "n_regionkey"]}
 _NAMES = ", ".join([f"('{n}', 'label')" for n in _LABELS] + [f"('{n}', 'type')" for n in _TYPES])
 
+def _asked(text: str) -> Runner:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return session(spark, sf_dir).cypher(text)
+
+    return run
+
+
+def _trails(base: str, table: str, hi: int, where: str = "true") -> str:
+    """Trails from account 7, edge by edge."""
+    return f"""WITH RECURSIVE {base}, link AS (SELECT * FROM {table} WHERE {where}), w AS (SELECT CAST(7 AS BIGINT) AS t, 0 AS d, CAST([] AS BIGINT[]) AS used UNION ALL
+        SELECT dst, d + 1, list_append(used, id) FROM w JOIN link ON t = src WHERE d < {hi} AND NOT list_contains(used, id))"""
+
+
+#: what a match may do with a relationship does not hang on how its length is bounded
+_SEMANTICS: dict[str, tuple[Runner, str | None]] = {
+    "path_sem_second_hop": (_asked("MATCH (a:Account {id: 7})-[:HOT_CLICK*1..3]->(b)-[:HOT_CLICK]->(c) RETURN count(*) AS n"), _trails(HOT, "hot", 3) + " SELECT count(*) AS n FROM w JOIN hot ON t = src WHERE d > 0 AND NOT list_contains(used, id)"),
+    "path_sem_second_hop_far": (_asked("MATCH (a:Account {id: 7})-[:HOT_CLICK*1..7]->(b)-[:HOT_CLICK]->(c) RETURN count(*) AS n"), _trails(HOT, "hot", 7) + " SELECT count(*) AS n FROM w JOIN hot ON t = src WHERE d > 0 AND NOT list_contains(used, id)"),
+    "path_sem_edge_filter": (_asked("MATCH (a:Account {id: 7})-[:HOT_CLICK* {kind: 'view'}]->(b) RETURN b.id AS id"), _trails(HOT, "hot", 1, "ty = 'view'") + " SELECT t AS id FROM w WHERE d > 0"),
+    "path_sem_edge_where": (_asked("MATCH (a:Account {id: 7})-[r:TOUCHED*1..7 WHERE r.value > 95]->(b) RETURN DISTINCT b.id AS id"), f"WITH RECURSIVE {TOUCH}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN touch ON t = src WHERE v > 95 AND d < 7) SELECT DISTINCT t AS id FROM w WHERE d > 0"),
+    "path_sem_undirected_filter": (_asked("MATCH (a:Account {id: 7})-[:HOT_CLICK*1..2 {kind: 'click'}]-(b) RETURN b.id AS id, count(*) AS n"), _trails(HOT_BOTH, "hu", 2) + " SELECT t AS id, count(*) AS n FROM w WHERE d > 0 GROUP BY 1"),
+    "path_sem_longest": (_asked("MATCH p = (a:Account {id: 7})-[:HOT_CLICK*1..4]->(b) RETURN b.id AS id, max(length(p)) AS n"), _trails(HOT, "hot", 4) + " SELECT t AS id, max(d) AS n FROM w WHERE d > 0 GROUP BY 1"),
+    "path_sem_lengths": (_asked("MATCH p = (a:Account {id: 7})-[:HOT_CLICK*1..7]->(b) RETURN DISTINCT b.id AS id, length(p) AS n"), _trails(HOT, "hot", 7) + " SELECT DISTINCT t AS id, d AS n FROM w WHERE d > 0"),
+    "path_sem_undirected_ends": (_asked("MATCH p = (a:Account {id: 7})-[:HOT_CLICK*1..3]-(b) RETURN b.id AS id, min(length(p)) AS n"), _trails(HOT_BOTH, "hu", 3) + " SELECT t AS id, min(d) AS n FROM w WHERE d > 0 GROUP BY 1"),
+    "path_sem_all_shortest": (_asked("MATCH p = allShortestPaths((a:Account {id: 7})-[:HOT_CLICK*]->(b:Account)) RETURN b.id AS id, length(p) AS n, count(*) AS paths"), f"WITH RECURSIVE {HOT}, d0 AS (SELECT DISTINCT src, dst FROM hot), w AS (SELECT CAST(7 AS BIGINT) AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN d0 ON t = src WHERE d < 14), m AS (SELECT t, min(d) AS d FROM w GROUP BY 1), p AS (SELECT t, d FROM m WHERE d = 0 UNION ALL SELECT m.t, m.d FROM p JOIN hot ON src = p.t JOIN m ON m.t = dst AND m.d = p.d + 1) SELECT t AS id, d AS n, count(*) AS paths FROM p WHERE d > 0 GROUP BY 1, 2"),
+    "path_sem_renames": (_asked("MATCH (v0:Nation) WITH v0 AS v1 WITH v1 AS v2 WITH v2 AS v3 WITH v3 AS v4 WITH v4 AS v5 WITH v5 AS v6 RETURN v6.name AS name"), "SELECT n_name AS name FROM nation"),
+}
+
 EXTRA: dict[str, tuple[Runner, str | None]] = {
+    **_SEMANTICS,
     **{f"{k}_reencoded": (_reencoded(k), _NATIVE[k]) for k in snb.MICRO},
     "tax_2hop_seed_map_blob": (_reencoded("tax_2hop_seed", blob="map"), _NATIVE["tax_2hop_seed"]),
     "tax_2hop_seed_typed": (_reencoded("tax_2hop_seed", layout="per_label"), _NATIVE["tax_2hop_seed"]),
@@ -240,36 +346,48 @@ EXTRA: dict[str, tuple[Runner, str | None]] = {
     "path_form_recursive": (recursive_form, _RANGED),
     "path_form_doubling": (doubling_form, snb.SOCIAL["path_forest"].oracle),
     "path_distances": (frontier_distances, f"WITH RECURSIVE {HOT}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN hot ON t = src WHERE d < 12), m AS (SELECT t, min(d) AS hops FROM w GROUP BY 1) SELECT hops, count(*) AS n FROM m GROUP BY 1"),
-    "ic14": (all_shortest, f"WITH RECURSIVE {HOT_BOTH}, w AS (SELECT 7 AS t, 0 AS d UNION ALL SELECT dst, d + 1 FROM w JOIN hu ON t = src WHERE d < 5), m AS (SELECT d, count(*) AS paths FROM w WHERE t = 50 GROUP BY 1) SELECT d AS hops, paths FROM m ORDER BY d LIMIT 1"),
-    "bi15": (bi15, _cheapest("SELECT 7 AS s", "SELECT 50", "")),
-    "bi19": (bi19, _cheapest("SELECT c_custkey AS s FROM customer WHERE c_nationkey = 3", "SELECT c_custkey FROM customer WHERE c_nationkey = 8", "WHERE cost < 3 ORDER BY cost, a, b LIMIT 20")),
-    "bi20": (bi20, _cheapest("SELECT 7 AS s", "SELECT o_custkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_suppkey = 5", "WHERE a <> b AND cost < 3 ORDER BY cost, b LIMIT 5")),
-    "tri_undirected": (undirected_triangles, f"WITH {TOUCH}, e AS (SELECT DISTINCT least(src, dst) AS x, greatest(src, dst) AS y FROM touch WHERE ty = 'click' AND src <> dst) SELECT p.x AS a, p.y AS b, q.y AS c FROM e p JOIN e q ON p.y = q.x JOIN e r ON r.x = p.x AND r.y = q.y"),
-    "tri_directed": (directed_triangles, f"WITH {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch WHERE ty = 'click' AND src <> dst) SELECT p.src AS a, p.dst AS b, q.dst AS c FROM e p JOIN e q ON p.dst = q.src JOIN e r ON r.src = q.dst AND r.dst = p.src WHERE p.src < p.dst AND p.src < q.dst"),
+    "ic14": (_all_shortest(touch), _shortest_sql(BOTH, "both_ways")),
+    "ic14_sparse": (_all_shortest(hot), _shortest_sql(HOT_BOTH, "hu")),
+    **{k: (make(_near_weights), _relaxed(_NEAR_COSTS, *sql)) for k, (make, sql) in _CHEAPEST.items()},
+    **{f"{k}_sparse": (make(_hot_weights), _relaxed(_HOT_COSTS, *sql)) for k, (make, sql) in _CHEAPEST.items()},
+    "bi4": (
+        bi4,
+        """WITH k AS (SELECT s_nationkey AS nation, l_suppkey AS supplier, count(DISTINCT l_orderkey) AS k FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1, 2),
+           top AS (SELECT supplier FROM k QUALIFY row_number() OVER (PARTITION BY nation ORDER BY k DESC, supplier) = 1)
+           SELECT o_custkey AS customer, count(DISTINCT o_orderkey) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_suppkey IN (SELECT supplier FROM top) GROUP BY 1 ORDER BY n DESC, customer LIMIT 20""",
+    ),
+    "bi14": (
+        bi14,
+        f"""WITH {BOTH}, g AS (SELECT y.c_nationkey AS nation, src AS a, dst AS b, count(*) AS score FROM both_ways JOIN customer x ON x.c_custkey = src JOIN customer y ON y.c_custkey = dst WHERE x.c_nationkey = 3 AND y.c_nationkey <> 3 GROUP BY 1, 2, 3)
+            SELECT nation, a, b, score FROM g QUALIFY row_number() OVER (PARTITION BY nation ORDER BY score DESC, a, b) = 1""",
+    ),
+    "tri_undirected": (undirected_triangles, f"WITH {TOUCH}, e AS (SELECT DISTINCT least(src, dst) AS x, greatest(src, dst) AS y FROM touch WHERE src <> dst) SELECT p.x AS a, p.y AS b, q.y AS c FROM e p JOIN e q ON p.y = q.x JOIN e r ON r.x = p.x AND r.y = q.y"),
+    "tri_directed": (directed_triangles, f"WITH {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch WHERE src <> dst) SELECT p.src AS a, p.dst AS b, q.dst AS c FROM e p JOIN e q ON p.dst = q.src JOIN e r ON r.src = q.dst AND r.dst = p.src WHERE p.src < p.dst AND p.src < q.dst"),
     "csr_adjacency": (csr, f"WITH {TOUCH} SELECT src AS s0, count(*) AS edges FROM touch GROUP BY 1"),
-    "msbfs_distances": (msbfs, f"WITH RECURSIVE {HOT}, w AS (SELECT s AS s0, s AS t, 0 AS d FROM (VALUES (7), (8), (9)) v(s) UNION SELECT s0, dst, d + 1 FROM w JOIN hot ON t = src WHERE d < 14), m AS (SELECT s0, t, min(d) AS hops FROM w GROUP BY 1, 2) SELECT s0, hops, count(*) AS n FROM m GROUP BY 1, 2"),
-    "algo_pagerank": (
+    "msbfs_distances": (msbfs_all, f"WITH RECURSIVE {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch), w AS (SELECT s AS s0, s AS t, 0 AS d FROM (VALUES (7), (8), (9)) v(s) UNION SELECT s0, dst, d + 1 FROM w JOIN e ON t = src WHERE d < 8), m AS (SELECT s0, t, min(d) AS hops FROM w GROUP BY 1, 2) SELECT s0, hops, count(*) AS n FROM m GROUP BY 1, 2"),
+    "msbfs_distances_sparse": (msbfs, f"WITH RECURSIVE {HOT}, w AS (SELECT s AS s0, s AS t, 0 AS d FROM (VALUES (7), (8), (9)) v(s) UNION SELECT s0, dst, d + 1 FROM w JOIN hot ON t = src WHERE d < 14), m AS (SELECT s0, t, min(d) AS hops FROM w GROUP BY 1, 2) SELECT s0, hops, count(*) AS n FROM m GROUP BY 1, 2"),
+    "algo_pagerank_sparse": (
         pagerank,
         f"""WITH {HOT}, n AS (SELECT src AS node FROM hot UNION SELECT dst FROM hot), k AS (SELECT count(*) AS c FROM n), f AS (SELECT src, dst, count(*) OVER (PARTITION BY src) AS deg FROM hot),
             r0 AS (SELECT node, 1.0::DOUBLE / c AS r FROM n, k), r1 AS (SELECT n.node, 0.15::DOUBLE / (SELECT c FROM k) + 0.85 * coalesce((SELECT sum(r / deg) FROM f JOIN r0 ON r0.node = f.src WHERE f.dst = n.node), 0) AS r FROM n),
             r2 AS (SELECT n.node, 0.15::DOUBLE / (SELECT c FROM k) + 0.85 * coalesce((SELECT sum(r / deg) FROM f JOIN r1 ON r1.node = f.src WHERE f.dst = n.node), 0) AS r FROM n),
             r3 AS (SELECT n.node, 0.15::DOUBLE / (SELECT c FROM k) + 0.85 * coalesce((SELECT sum(r / deg) FROM f JOIN r2 ON r2.node = f.src WHERE f.dst = n.node), 0) AS r FROM n) SELECT node, round(r, 6) AS rank FROM r3""",
     ),
-    "algo_sssp": (sssp, f"WITH RECURSIVE {HOT}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN hot ON t = src WHERE d < 14) SELECT t AS t0, min(d) AS hops FROM w GROUP BY 1"),
-    "algo_wcc": (wcc, f"WITH RECURSIVE {HOT_BOTH}, n AS (SELECT src AS node FROM hu UNION SELECT dst FROM hu), w AS (SELECT node, node AS r FROM n UNION SELECT w.node, dst FROM w JOIN hu ON r = src) SELECT node, min(r) AS component FROM w GROUP BY 1"),
-    "algo_pagerank_all": (
+    "algo_sssp_sparse": (sssp, f"WITH RECURSIVE {HOT}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN hot ON t = src WHERE d < 14) SELECT t AS t0, min(d) AS hops FROM w GROUP BY 1"),
+    "algo_wcc_sparse": (wcc, f"WITH RECURSIVE {HOT_BOTH}, n AS (SELECT src AS node FROM hu UNION SELECT dst FROM hu), w AS (SELECT node, node AS r FROM n UNION SELECT w.node, dst FROM w JOIN hu ON r = src) SELECT node, min(r) AS component FROM w GROUP BY 1"),
+    "algo_pagerank": (
         pagerank_all,
         f"""WITH {TOUCH}, n AS (SELECT src AS node FROM touch UNION SELECT dst FROM touch), k AS (SELECT count(*) AS c FROM n), f AS (SELECT src, dst, count(*) OVER (PARTITION BY src) AS deg FROM touch),
             r0 AS (SELECT node, 1.0::DOUBLE / c AS r FROM n, k), {_RANKS} SELECT node, round(r, 6) AS rank FROM r10""",
     ),
-    "algo_sssp_all": (sssp_all, f"WITH RECURSIVE {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch), w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN e ON t = src WHERE d < (SELECT count(DISTINCT dst) FROM touch)) SELECT t AS t0, min(d) AS hops FROM w GROUP BY 1"),
-    "algo_wcc_all": (wcc_all, f"WITH RECURSIVE {BOTH}, e AS (SELECT DISTINCT src, dst FROM both_ways), n AS (SELECT src AS node FROM e UNION SELECT dst FROM e), w AS (SELECT node, node AS r FROM n UNION SELECT w.node, dst FROM w JOIN e ON r = src) SELECT node, min(r) AS component FROM w GROUP BY 1"),
+    "algo_sssp": (sssp_all, f"WITH RECURSIVE {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch), w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN e ON t = src WHERE d < (SELECT count(DISTINCT dst) FROM touch)) SELECT t AS t0, min(d) AS hops FROM w GROUP BY 1"),
+    "algo_wcc": (wcc_all, f"WITH RECURSIVE {BOTH}, e AS (SELECT DISTINCT src, dst FROM both_ways), n AS (SELECT src AS node FROM e UNION SELECT dst FROM e), w AS (SELECT node, node AS r FROM n UNION SELECT w.node, dst FROM w JOIN e ON r = src) SELECT node, min(r) AS component FROM w GROUP BY 1"),
     "base_pointer_walk": (pointer_walk, _RANGED.replace("count(*) AS trails, count(DISTINCT dst) AS ends", "count(*) AS trails")),
     "base_naive_shared_row": (naive_shared_row, "SELECT count(*) AS n FROM lineitem a JOIN lineitem b USING (l_partkey)"),
     "base_reified_lines": (reified, patterns.PATTERNS["pat_shared_row"].oracle),
     "tool_validate": (deep_validation, "SELECT * FROM (VALUES ('repeated key', 0), ('edge without its node', 0)) v(kind, rows)"),
     "tool_discover_keys": (discovered_keys, " UNION ALL ".join(f"SELECT '{t}' AS \"table\", '{x}' AS \"column\" FROM {t} HAVING count(*) = count(DISTINCT {x})" for t, xs in _WHOLE.items() for x in xs)),
-    "tool_retrieve": (retrieved, f"WITH {HOT}, m AS (SELECT id, min(h) AS hops FROM (SELECT dst AS id, 1 AS h FROM hot WHERE src IN (7, 8) UNION ALL SELECT b.dst, 2 FROM hot a JOIN hot b ON a.dst = b.src AND a.id <> b.id WHERE a.src IN (7, 8)) GROUP BY 1) SELECT id, hops FROM m QUALIFY row_number() OVER (PARTITION BY hops ORDER BY id) <= 5"),
+    "tool_retrieve": (retrieved, f"WITH {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch), m AS (SELECT id, min(h) AS hops FROM (SELECT dst AS id, 1 AS h FROM e WHERE src IN (7, 8) UNION ALL SELECT y.dst, 2 FROM e x JOIN e y ON x.dst = y.src WHERE x.src IN (7, 8)) GROUP BY 1) SELECT id, hops FROM m QUALIFY row_number() OVER (PARTITION BY hops ORDER BY id) <= 5"),
     "tool_procedures": (procedures, f"SELECT * FROM (VALUES {_NAMES}) v(name, kind)"),
     "mode_sql_text": (sql_text_mode, patterns.PATTERNS["pat_key_left"].oracle),
     "pgq_graph_table": (graph_table, "SELECT c_name AS name, o_orderkey AS order_id FROM customer JOIN orders ON c_custkey = o_custkey WHERE o_totalprice > 400000"),

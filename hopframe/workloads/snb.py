@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hopframe.workloads.base import BOTH, HOT, HOT_BOTH, NEAR2, TOUCH, Workload
+from hopframe.workloads.base import BOTH, HOT, HOT_BOTH, NB, NEAR2, TOUCH, Workload
 
 MICRO: dict[str, Workload] = {
     "tax_2hop_seed": Workload("MATCH (a:Account {id: 7})-[:TOUCHED]->(b)-[:TOUCHED]->(c) RETURN count(*) AS n", f"WITH {TOUCH} SELECT count(*) AS n FROM touch x JOIN touch y ON x.dst = y.src AND x.id <> y.id WHERE x.src = 7"),
@@ -90,17 +90,22 @@ SHORT: dict[str, Workload] = {
 
 COMPLEX: dict[str, Workload] = {
     "ic1": Workload(
-        "MATCH p = (c:Customer {id: 7})-[:HOT_INTERACTS*1..3]-(d:Customer {segment: 'BUILDING'}) WHERE d.id <> 7 WITH d, min(length(p)) AS dist MATCH (d)-[:LIVES_IN]->(n:Nation) OPTIONAL MATCH (d)-[:PLACED]->(o:Order) RETURN d.id AS id, d.name AS name, dist, n.name AS nation, count(o) AS orders ORDER BY dist, id LIMIT 20",
-        f"""WITH RECURSIVE {HOT_BOTH}, w AS (SELECT dst, 1 AS d, [id] AS used FROM hu WHERE src = 7 UNION ALL SELECT h.dst, d + 1, list_append(used, h.id) FROM w JOIN hu h ON w.dst = h.src WHERE d < 3 AND NOT list_contains(used, h.id)),
-            m AS (SELECT dst, min(d) AS dist FROM w WHERE dst <> 7 GROUP BY 1)
-            SELECT c_custkey AS id, c_name AS name, dist, n_name AS nation, (SELECT count(*) FROM orders WHERE o_custkey = c_custkey) AS orders FROM m JOIN customer ON dst = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE c_mktsegment = 'BUILDING' ORDER BY dist, id LIMIT 20""",
+        """MATCH p = (c:Customer {id: 7})-[:INTERACTS*1..3]-(d:Customer {segment: 'BUILDING'}) WHERE d.id <> 7
+           WITH d, min(length(p)) AS dist ORDER BY dist, d.id LIMIT 20
+           MATCH (d)-[:LIVES_IN]->(n:Nation) OPTIONAL MATCH (d)-[:PLACED]->(o:Order)
+           RETURN d.id AS id, d.name AS name, dist, n.name AS nation, sort(collect(o.id)) AS orders""",
+        f"""WITH RECURSIVE {NB}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN nb ON t = src WHERE d < 3),
+            m AS (SELECT t, min(d) AS dist FROM w JOIN customer ON t = c_custkey WHERE t <> 7 AND c_mktsegment = 'BUILDING' GROUP BY 1 ORDER BY dist, t LIMIT 20)
+            SELECT c_custkey AS id, c_name AS name, CAST(dist AS BIGINT) AS dist, n_name AS nation,
+                   coalesce((SELECT list_sort(list(o_orderkey)) FROM orders WHERE o_custkey = c_custkey), []) AS orders
+            FROM m JOIN customer ON t = c_custkey JOIN nation ON c_nationkey = n_nationkey""",
     ),
     "ic2": Workload(
         "MATCH (c:Customer {id: 7})-[:INTERACTS]-(d:Customer) WITH DISTINCT d MATCH (d)-[:PLACED]->(o:Order) WHERE o.date < localdatetime('1998-01-01') RETURN d.id AS friend, o.id AS order_id, o.date AS date ORDER BY date DESC, order_id LIMIT 20",
         f"WITH {BOTH} SELECT o_custkey AS friend, o_orderkey AS order_id, o_orderdate AS date FROM orders WHERE o_custkey IN (SELECT dst FROM both_ways WHERE src = 7) AND o_orderdate < TIMESTAMP '1998-01-01' ORDER BY date DESC, order_id LIMIT 20",
     ),
     "ic3": Workload(
-        "MATCH (c:Customer {id: 7})-[:HOT_INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH DISTINCT d MATCH (d)-[:PLACED]->(o:Order)-[:CONTAINS]->(p:Part)-[:SOURCED_FROM]->(s:Supplier)-[:BASED_IN]->(n:Nation) WHERE n.id IN [3, 8] AND o.date >= localdatetime('1998-01-01') WITH d, sum(CASE WHEN n.id = 3 THEN 1 ELSE 0 END) AS x, sum(CASE WHEN n.id = 8 THEN 1 ELSE 0 END) AS y WHERE x > 0 AND y > 0 RETURN d.id AS id, x, y",
+        "MATCH (c:Customer {id: 7})-[:INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH DISTINCT d MATCH (d)-[:PLACED]->(o:Order)-[:CONTAINS]->(p:Part)-[:SOURCED_FROM]->(s:Supplier)-[:BASED_IN]->(n:Nation) WHERE n.id IN [3, 8] AND o.date >= localdatetime('1998-01-01') WITH d, sum(CASE WHEN n.id = 3 THEN 1 ELSE 0 END) AS x, sum(CASE WHEN n.id = 8 THEN 1 ELSE 0 END) AS y WHERE x > 0 AND y > 0 RETURN d.id AS id, x, y",
         f"""WITH {NEAR2}, g AS (SELECT o_custkey AS id, CAST(sum(CASE WHEN s_nationkey = 3 THEN 1 ELSE 0 END) AS BIGINT) AS x, CAST(sum(CASE WHEN s_nationkey = 8 THEN 1 ELSE 0 END) AS BIGINT) AS y
             FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN supplier ON l_suppkey = s_suppkey WHERE o_custkey IN (SELECT id FROM near2) AND o_orderdate >= TIMESTAMP '1998-01-01' GROUP BY 1) SELECT * FROM g WHERE x > 0 AND y > 0""",
     ),
@@ -110,7 +115,7 @@ COMPLEX: dict[str, Workload] = {
             SELECT part, n FROM g WHERE first >= TIMESTAMP '1998-01-01' ORDER BY n DESC, part LIMIT 10""",
     ),
     "ic5": Workload(
-        "MATCH (c:Customer {id: 7})-[:HOT_INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH collect(DISTINCT d) AS ds UNWIND ds AS d MATCH (d)-[:PLACED]->(o:Order)<-[:SHIPPED]-(s:Supplier) WHERE o.date > localdatetime('2000-01-01') RETURN s.id AS supplier, count(DISTINCT o) AS orders ORDER BY orders DESC, supplier LIMIT 20",
+        "MATCH (c:Customer {id: 7})-[:INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH collect(DISTINCT d) AS ds UNWIND ds AS d MATCH (d)-[:PLACED]->(o:Order)<-[:SHIPPED]-(s:Supplier) WHERE o.date > localdatetime('2000-01-01') RETURN s.id AS supplier, count(DISTINCT o) AS orders ORDER BY orders DESC, supplier LIMIT 20",
         f"WITH {NEAR2} SELECT l_suppkey AS supplier, count(DISTINCT o_orderkey) AS orders FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE o_custkey IN (SELECT id FROM near2) AND o_orderdate > TIMESTAMP '2000-01-01' GROUP BY 1 ORDER BY orders DESC, supplier LIMIT 20",
     ),
     "ic6": Workload(
@@ -127,25 +132,35 @@ COMPLEX: dict[str, Workload] = {
         "SELECT conv_id AS conv, turn, role FROM conversations WHERE conv_id = 3 AND turn > 0 ORDER BY turn DESC LIMIT 20",
     ),
     "ic9": Workload(
-        "MATCH (c:Customer {id: 7})-[:HOT_INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH collect(DISTINCT d) AS ds UNWIND ds AS d MATCH (d)-[:PLACED]->(o:Order) WHERE o.date < localdatetime('1998-01-01') RETURN d.id AS friend, d.name AS name, o.id AS order_id ORDER BY o.date DESC, order_id LIMIT 20",
+        "MATCH (c:Customer {id: 7})-[:INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH collect(DISTINCT d) AS ds UNWIND ds AS d MATCH (d)-[:PLACED]->(o:Order) WHERE o.date < localdatetime('1998-01-01') RETURN d.id AS friend, d.name AS name, o.id AS order_id ORDER BY o.date DESC, order_id LIMIT 20",
         f"WITH {NEAR2} SELECT o_custkey AS friend, c_name AS name, o_orderkey AS order_id FROM orders JOIN customer ON o_custkey = c_custkey WHERE o_custkey IN (SELECT id FROM near2) AND o_orderdate < TIMESTAMP '1998-01-01' ORDER BY o_orderdate DESC, order_id LIMIT 20",
     ),
     "ic10": Workload(
-        "MATCH (c:Customer {id: 7})-[:HOT_INTERACTS*2]-(d:Customer) WHERE d.id <> 7 AND NOT (c)-[:HOT_INTERACTS]-(d) WITH DISTINCT c, d MATCH (c)-[:PLACED]->(:Order)-[:CONTAINS]->(p:Part) WITH d, collect(DISTINCT p.brand) AS brands MATCH (d)-[:PLACED]->(:Order)-[:CONTAINS]->(q:Part) WHERE q.brand IN brands RETURN d.id AS id, count(DISTINCT q.brand) AS score ORDER BY score DESC, id LIMIT 10",
-        f"""WITH {HOT_BOTH}, two AS (SELECT DISTINCT b.dst AS id FROM hu a JOIN hu b ON a.dst = b.src AND a.id <> b.id WHERE a.src = 7 AND b.dst <> 7 AND b.dst NOT IN (SELECT dst FROM hu WHERE src = 7)),
-            bought AS (SELECT DISTINCT o_custkey AS id, p_brand FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey)
-            SELECT b.id, count(*) AS score FROM bought b JOIN two USING (id) WHERE p_brand IN (SELECT p_brand FROM bought WHERE id = 7) GROUP BY 1 ORDER BY score DESC, b.id LIMIT 10""",
+        """MATCH (c:Customer {id: 7})-[:INTERACTS*2]-(d:Customer) WHERE d.id <> 7 AND NOT (c)-[:INTERACTS]-(d) WITH DISTINCT c, d
+           MATCH (c)-[:PLACED]->(:Order)-[:CONTAINS]->(p:Part) WITH d, collect(DISTINCT p.type) AS types
+           MATCH (d)-[:PLACED]->(:Order)-[:CONTAINS]->(q:Part) WHERE q.type IN types
+           RETURN d.id AS id, count(DISTINCT q.type) AS score ORDER BY score DESC, id LIMIT 10""",
+        f"""WITH {NB}, two AS (SELECT DISTINCT y.dst AS id FROM nb x JOIN nb y ON x.dst = y.src WHERE x.src = 7 AND y.dst <> 7 AND y.dst NOT IN (SELECT dst FROM nb WHERE src = 7)),
+            bought AS (SELECT DISTINCT o_custkey AS id, p_type FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey)
+            SELECT b.id, count(*) AS score FROM bought b JOIN two USING (id) WHERE p_type IN (SELECT p_type FROM bought WHERE id = 7) GROUP BY 1 ORDER BY score DESC, b.id LIMIT 10""",
     ),
     "ic11": Workload(
-        "MATCH (c:Customer {id: 7})-[:HOT_INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH DISTINCT d MATCH (d)-[:PLACED]->(o:Order)-[:CONTAINS]->(p:Part)-[r:SOURCED_FROM]->(s:Supplier)-[:BASED_IN]->(n:Nation {id: 3}) WHERE r.shipped < localdatetime('1998-01-01') RETURN d.id AS id, s.name AS supplier, count(*) AS n",
+        "MATCH (c:Customer {id: 7})-[:INTERACTS*1..2]-(d:Customer) WHERE d.id <> 7 WITH DISTINCT d MATCH (d)-[:PLACED]->(o:Order)-[:CONTAINS]->(p:Part)-[r:SOURCED_FROM]->(s:Supplier)-[:BASED_IN]->(n:Nation {id: 3}) WHERE r.shipped < localdatetime('1998-01-01') RETURN d.id AS id, s.name AS supplier, count(*) AS n",
         f"WITH {NEAR2} SELECT o_custkey AS id, s_name AS supplier, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN supplier ON l_suppkey = s_suppkey WHERE s_nationkey = 3 AND l_shipdate < TIMESTAMP '1998-01-01' AND o_custkey IN (SELECT id FROM near2) GROUP BY 1, 2",
     ),
     "ic12": Workload(
-        "MATCH (q:Part)-[:COMPONENT_OF*0..]->(a:Part {id: 4}) WITH DISTINCT q MATCH (c:Customer {id: 7})-[:INTERACTS]-(d:Customer) WITH DISTINCT q, d MATCH (q)<-[:CONTAINS]-(o:Order)<-[:PLACED]-(d) RETURN d.id AS id, count(DISTINCT o) AS orders, count(DISTINCT q) AS parts",
-        f"""WITH {BOTH}, under AS (SELECT p_partkey FROM part WHERE p_partkey > 0 AND starts_with(CAST(p_partkey AS VARCHAR), '4'))
-            SELECT o_custkey AS id, count(DISTINCT o_orderkey) AS orders, count(DISTINCT l_partkey) AS parts FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_partkey IN (FROM under) AND o_custkey IN (SELECT dst FROM both_ways WHERE src = 7) GROUP BY 1""",
+        """MATCH (q:Part)-[:COMPONENT_OF*0..]->(a:Part {id: 4}) WITH DISTINCT q
+           MATCH (q)<-[:CONTAINS]-(o:Order)<-[:PLACED]-(d:Customer)-[:INTERACTS]-(c:Customer {id: 7})
+           RETURN d.id AS id, count(DISTINCT o) AS orders, sort(collect(DISTINCT q.name)) AS names""",
+        f"""WITH {NB}, under AS (SELECT p_partkey, p_name FROM part WHERE p_partkey > 0 AND starts_with(CAST(p_partkey AS VARCHAR), '4'))
+            SELECT o_custkey AS id, count(DISTINCT o_orderkey) AS orders, list_sort(list(DISTINCT p_name)) AS names
+            FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN under ON l_partkey = p_partkey WHERE o_custkey IN (SELECT dst FROM nb WHERE src = 7) GROUP BY 1""",
     ),
     "ic13": Workload(
+        "MATCH (a:Customer {id: 7}), (b:Customer {id: 50}) OPTIONAL MATCH p = shortestPath((a)-[:INTERACTS*..15]-(b)) RETURN coalesce(length(p), -1) AS hops",
+        f"WITH RECURSIVE {NB}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN nb ON t = src WHERE d < 15 AND t <> 50) SELECT CAST(coalesce(min(d), -1) AS BIGINT) AS hops FROM w WHERE t = 50",
+    ),
+    "ic13_sparse": Workload(
         "MATCH (a:Account {id: 7}), (b:Account {id: 50}) OPTIONAL MATCH p = shortestPath((a)-[:HOT_CLICK*..15]-(b)) RETURN coalesce(length(p), -1) AS hops",
         f"WITH RECURSIVE {HOT_BOTH}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN hu ON t = src WHERE d < 15) SELECT coalesce(min(d), -1) AS hops FROM w WHERE t = 50",
     ),
@@ -153,6 +168,10 @@ COMPLEX: dict[str, Workload] = {
 
 _P42 = "b42 AS (SELECT DISTINCT o_custkey AS id, o_orderkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_partkey = 42)"
 
+_MONTH = "o.date >= localdatetime('1998-07-01') AND o.date < localdatetime('1998-08-01')"
+_DAYS_A = "o.date >= localdatetime('1998-01-01') AND o.date < localdatetime('1999-01-01')"
+_DAYS_B = "o.date >= localdatetime('1999-01-01') AND o.date < localdatetime('2000-01-01')"
+
 INTELLIGENCE: dict[str, Workload] = {
     "bi1": Workload(
         "MATCH (o:Order) WITH count(o) AS total MATCH (o:Order) RETURN o.date.year AS year, o.status AS status, CASE WHEN o.total < 100000 THEN 0 WHEN o.total < 200000 THEN 1 ELSE 2 END AS bucket, total, count(*) AS n, round(avg(o.total), 2) AS mean, round(100.0 * count(*) / total, 4) AS share",
@@ -168,11 +187,6 @@ INTELLIGENCE: dict[str, Workload] = {
         "MATCH (r:Region {name: 'ASIA'})<-[:PART_OF]-(n:Nation)<-[:LIVES_IN]-(c:Customer)<-[:STARTED_BY]-(root:Turn {turn: 0})<-[:REPLY_OF*0..]-(t:Turn {role: 'assistant'}) RETURN n.name AS nation, c.id AS customer, count(t) AS answers ORDER BY answers DESC, customer LIMIT 20",
         "SELECT n_name AS nation, c_custkey AS customer, count(*) AS answers FROM conversations JOIN customer ON conv_id = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA' AND role = 'assistant' GROUP BY 1, 2 ORDER BY answers DESC, customer LIMIT 20",
     ),
-    "bi4": Workload(
-        "MATCH (s:Supplier)-[:SHIPPED]->(o:Order) WITH s, count(DISTINCT o) AS k ORDER BY k DESC, s.id LIMIT 10 MATCH (s)-[:SHIPPED]->(o:Order)<-[:PLACED]-(c:Customer) RETURN c.id AS customer, count(DISTINCT o) AS n ORDER BY n DESC, customer LIMIT 20",
-        """WITH top AS (SELECT l_suppkey, count(DISTINCT l_orderkey) AS k FROM lineitem GROUP BY 1 ORDER BY k DESC, l_suppkey LIMIT 10)
-           SELECT o_custkey AS customer, count(DISTINCT o_orderkey) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_suppkey IN (SELECT l_suppkey FROM top) GROUP BY 1 ORDER BY n DESC, customer LIMIT 20""",
-    ),
     "bi5": Workload(
         "MATCH (p:Part {id: 42})<-[:CONTAINS]-(o:Order)<-[:PLACED]-(c:Customer) WITH c, count(DISTINCT o) AS orders OPTIONAL MATCH (c)-[i:INTERACTS]->(x:Customer) WITH c, orders, count(i) AS sent OPTIONAL MATCH (c)<-[:STARTED_BY]-(t:Turn) RETURN c.id AS customer, orders, sent, count(t) AS turns, orders * 10 + sent + count(t) AS score",
         f"""WITH {TOUCH}, {_P42}, g AS (SELECT id, count(*) AS orders FROM b42 GROUP BY 1), h AS (SELECT id AS customer, orders, (SELECT count(*) FROM touch WHERE src = g.id) AS sent, (SELECT count(*) FROM conversations WHERE conv_id = g.id) AS turns FROM g)
@@ -196,39 +210,67 @@ INTELLIGENCE: dict[str, Workload] = {
         "SELECT conv_id AS customer, count(*) FILTER (turn = 0) AS threads, count(*) AS turns FROM conversations GROUP BY 1",
     ),
     "bi10": Workload(
+        """MATCH p = (c:Customer {id: 7})-[:INTERACTS*1..4]-(d:Customer) WITH d, min(length(p)) AS dist WHERE dist >= 3
+           MATCH (d)-[:PLACED]->(o:Order)-[:CONTAINS]->(q:Part) WHERE q.type STARTS WITH 'PROMO' RETURN d.id AS id, dist, count(*) AS n""",
+        f"""WITH RECURSIVE {NB}, w AS (SELECT 7 AS t, 0 AS d UNION SELECT dst, d + 1 FROM w JOIN nb ON t = src WHERE d < 4),
+            m AS (SELECT t, min(d) AS dist FROM w GROUP BY 1 HAVING min(d) >= 3)
+            SELECT t AS id, CAST(dist AS BIGINT) AS dist, count(*) AS n FROM m JOIN orders ON o_custkey = t JOIN lineitem ON l_orderkey = o_orderkey JOIN part ON p_partkey = l_partkey WHERE p_type LIKE 'PROMO%' GROUP BY 1, 2""",
+    ),
+    "bi10_sparse": Workload(
         "MATCH p = (c:Customer {id: 7})-[:HOT_INTERACTS*1..4]-(d:Customer) WITH d, min(length(p)) AS dist WHERE dist >= 3 MATCH (d)-[:PLACED]->(o:Order)-[:CONTAINS]->(q:Part) WHERE q.type STARTS WITH 'PROMO' RETURN d.id AS id, dist, count(*) AS n",
         f"""WITH RECURSIVE {HOT_BOTH}, w AS (SELECT dst, 1 AS d, [id] AS used FROM hu WHERE src = 7 UNION ALL SELECT h.dst, d + 1, list_append(used, h.id) FROM w JOIN hu h ON w.dst = h.src WHERE d < 4 AND NOT list_contains(used, h.id)),
             m AS (SELECT dst, min(d) AS dist FROM w GROUP BY 1 HAVING min(d) >= 3)
             SELECT dst AS id, dist, count(*) AS n FROM m JOIN orders ON o_custkey = dst JOIN lineitem ON l_orderkey = o_orderkey JOIN part ON p_partkey = l_partkey WHERE p_type LIKE 'PROMO%' GROUP BY 1, 2""",
     ),
     "bi11": Workload(
-        "MATCH (a:Customer)-[x:CLICK]->(b:Customer)-[y:CLICK]->(c:Customer)-[z:CLICK]->(a) WHERE a.id < b.id AND a.id < c.id AND b.id <> c.id AND x.ts >= localdatetime('2024-01-05') AND y.ts >= localdatetime('2024-01-05') AND z.ts >= localdatetime('2024-01-05') RETURN count(*) AS n",
-        f"WITH {TOUCH}, k AS (SELECT * FROM touch WHERE ty = 'click' AND ts >= TIMESTAMP '2024-01-05') SELECT count(*) AS n FROM k x JOIN k y ON x.dst = y.src JOIN k z ON y.dst = z.src AND z.dst = x.src WHERE x.src < x.dst AND x.src < y.dst AND x.dst <> y.dst",
+        """MATCH (a:Customer)-[x:CLICK]-(b:Customer)-[y:CLICK]-(c:Customer)-[z:CLICK]-(a)
+           WHERE a.id < b.id AND b.id < c.id AND a.nation = b.nation AND b.nation = c.nation
+             AND x.ts >= localdatetime('2024-01-03') AND y.ts >= localdatetime('2024-01-03') AND z.ts >= localdatetime('2024-01-03')
+           WITH DISTINCT a, b, c RETURN a.nation AS nation, count(*) AS triangles""",
+        f"""WITH {TOUCH}, k AS (SELECT DISTINCT least(src, dst) AS p, greatest(src, dst) AS q FROM touch WHERE ty = 'click' AND src <> dst AND ts >= TIMESTAMP '2024-01-03'),
+            n AS (SELECT p, q, u.c_nationkey AS nation FROM k JOIN customer u ON u.c_custkey = p JOIN customer v ON v.c_custkey = q WHERE u.c_nationkey = v.c_nationkey)
+            SELECT x.nation, count(*) AS triangles FROM n x JOIN n y ON x.q = y.p JOIN n z ON z.p = x.p AND z.q = y.q GROUP BY 1""",
     ),
     "bi12": Workload(
         "MATCH (c:Customer) OPTIONAL MATCH (c)-[:PLACED]->(o:Order) WHERE o.priority = '1-URGENT' AND o.total > 100000 WITH c, count(o) AS orders RETURN orders, count(*) AS customers",
         "WITH g AS (SELECT c_custkey, count(o_orderkey) AS orders FROM customer LEFT JOIN orders ON o_custkey = c_custkey AND o_orderpriority = '1-URGENT' AND o_totalprice > 100000 GROUP BY 1) SELECT orders, count(*) AS customers FROM g GROUP BY 1",
     ),
     "bi13": Workload(
-        "MATCH (n:Nation {id: 3})<-[:LIVES_IN]-(z:Customer) OPTIONAL MATCH (z)-[:PLACED]->(o:Order) WITH z, count(o) AS orders WHERE orders < 9 OPTIONAL MATCH (z)<-[i:INTERACTS]-(x:Customer) RETURN z.id AS id, orders, count(i) AS received",
-        f"WITH {TOUCH}, g AS (SELECT c_custkey AS id, count(o_orderkey) AS orders FROM customer LEFT JOIN orders ON o_custkey = c_custkey WHERE c_nationkey = 3 GROUP BY 1 HAVING count(o_orderkey) < 9) SELECT g.id, orders, count(t.id) AS received FROM g LEFT JOIN touch t ON t.dst = g.id GROUP BY 1, 2",
-    ),
-    "bi14": Workload(
-        "MATCH (a:Customer {nation: 3})-[:INTERACTS]-(b:Customer {nation: 8}) RETURN a.id AS a, b.id AS b, count(*) AS score ORDER BY score DESC, a, b LIMIT 50",
-        f"WITH {BOTH} SELECT src AS a, dst AS b, count(*) AS score FROM both_ways JOIN customer x ON x.c_custkey = src JOIN customer y ON y.c_custkey = dst WHERE x.c_nationkey = 3 AND y.c_nationkey = 8 GROUP BY 1, 2 ORDER BY score DESC, a, b LIMIT 50",
+        f"""MATCH (z:Customer {{nation: 3}}) WHERE NOT EXISTS {{ (z)-[:PLACED]->(o:Order) WHERE {_MONTH} }}
+           OPTIONAL MATCH (z)<-[i:INTERACTS]-(x:Customer)
+           WITH z, i, x, EXISTS {{ (x)-[:PLACED]->(o:Order) WHERE {_MONTH} }} AS active
+           WITH z.id AS id, count(i) AS received, sum(CASE WHEN x.nation = 3 AND NOT active THEN 1 ELSE 0 END) AS from_zombies
+           RETURN id, received, from_zombies, CASE WHEN received = 0 THEN 0.0 ELSE round(1.0 * from_zombies / received, 4) END AS share""",
+        f"""WITH {TOUCH}, zombie AS (SELECT c_custkey AS id FROM customer WHERE c_nationkey = 3 AND c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_orderdate >= TIMESTAMP '1998-07-01' AND o_orderdate < TIMESTAMP '1998-08-01')),
+            g AS (SELECT z.id, count(t.id) AS received, count(*) FILTER (t.src IN (SELECT id FROM zombie)) AS from_zombies FROM zombie z LEFT JOIN (SELECT touch.* FROM touch JOIN customer ON src = c_custkey) t ON t.dst = z.id GROUP BY 1)
+            SELECT id, received, from_zombies, CASE WHEN received = 0 THEN 0 ELSE round(CAST(from_zombies AS DOUBLE) / received, 4) END AS share FROM g""",
     ),
     "bi16": Workload(
-        "MATCH (c:Customer)-[:PLACED]->(:Order)-[:CONTAINS]->(:Part {id: 42}) WITH DISTINCT c CALL { WITH c MATCH (c)-[:INTERACTS]-(d:Customer) RETURN count(DISTINCT d) AS friends } RETURN c.id AS id, friends",
-        f"WITH {BOTH}, {_P42} SELECT b.id, count(DISTINCT dst) AS friends FROM (SELECT DISTINCT id FROM b42) b LEFT JOIN both_ways w ON w.src = b.id GROUP BY 1",
+        f"""MATCH (c:Customer)-[:PLACED]->(o:Order)-[:CONTAINS]->(:Part {{brand: 'Brand#13'}}) WHERE {_DAYS_A} WITH DISTINCT c
+           CALL {{ WITH c MATCH (c)-[:INTERACTS]-(d:Customer)-[:PLACED]->(o:Order)-[:CONTAINS]->(:Part {{brand: 'Brand#13'}}) WHERE {_DAYS_A} RETURN count(DISTINCT d) AS near_a }}
+           WITH c, near_a WHERE near_a <= 20
+           MATCH (c)-[:PLACED]->(o:Order)-[:CONTAINS]->(:Part {{brand: 'Brand#4'}}) WHERE {_DAYS_B} WITH DISTINCT c, near_a
+           CALL {{ WITH c MATCH (c)-[:INTERACTS]-(d:Customer)-[:PLACED]->(o:Order)-[:CONTAINS]->(:Part {{brand: 'Brand#4'}}) WHERE {_DAYS_B} RETURN count(DISTINCT d) AS near_b }}
+           WITH c, near_a, near_b WHERE near_b <= 20 RETURN c.id AS id, near_a, near_b""",
+        f"""WITH {NB}, a AS (SELECT DISTINCT o_custkey AS id FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey WHERE p_brand = 'Brand#13' AND o_orderdate >= TIMESTAMP '1998-01-01' AND o_orderdate < TIMESTAMP '1999-01-01'),
+            b AS (SELECT DISTINCT o_custkey AS id FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey WHERE p_brand = 'Brand#4' AND o_orderdate >= TIMESTAMP '1999-01-01' AND o_orderdate < TIMESTAMP '2000-01-01'),
+            g AS (SELECT id, (SELECT count(*) FROM nb WHERE src = id AND dst IN (SELECT id FROM a)) AS near_a, (SELECT count(*) FROM nb WHERE src = id AND dst IN (SELECT id FROM b)) AS near_b FROM a JOIN b USING (id))
+            SELECT * FROM g WHERE near_a <= 20 AND near_b <= 20""",
     ),
     "bi17": Workload(
-        "MATCH (a:Turn {turn: 0})-[:STARTED_BY]->(c:Customer)-[i:INTERACTS]->(d:Customer)<-[:STARTED_BY]-(b:Turn {turn: 0}) WHERE a.conv <> b.conv AND i.ts >= localdatetime('2024-01-10') RETURN a.conv AS a, b.conv AS b, count(*) AS n",
-        f"WITH {TOUCH} SELECT src AS a, dst AS b, count(*) AS n FROM touch WHERE src <> dst AND ts >= TIMESTAMP '2024-01-10' AND src IN (SELECT conv_id FROM conversations WHERE turn = 0) AND dst IN (SELECT conv_id FROM conversations WHERE turn = 0) GROUP BY 1, 2",
+        """MATCH (a:Turn {turn: 0})-[:STARTED_BY]->(c:Customer)-[x:INTERACTS]->(m:Customer)-[y:INTERACTS]->(d:Customer)<-[:STARTED_BY]-(b:Turn {turn: 0})
+           WHERE a.conv <> b.conv AND duration.days(x.ts, y.ts) >= 7
+           RETURN a.conv AS a, b.conv AS b, count(DISTINCT m) AS shared ORDER BY shared DESC, a, b LIMIT 50""",
+        f"""WITH {TOUCH}, root AS (SELECT conv_id FROM conversations WHERE turn = 0)
+            SELECT x.src AS a, y.dst AS b, count(DISTINCT x.dst) AS shared FROM touch x JOIN touch y ON x.dst = y.src AND x.id <> y.id JOIN root p ON p.conv_id = x.src JOIN root q ON q.conv_id = y.dst JOIN customer ON c_custkey = x.dst
+            WHERE x.src <> y.dst AND date_diff('day', CAST(x.ts AS DATE), CAST(y.ts AS DATE)) >= 7 GROUP BY 1, 2 ORDER BY shared DESC, a, b LIMIT 50""",
     ),
     "bi18": Workload(
-        "MATCH (p:Part)<-[:CONTAINS]-(:Order)<-[:PLACED]-(a:Customer) WHERE p.id < 20 WITH DISTINCT a MATCH (a)-[:HOT_INTERACTS]-(m:Customer)-[:HOT_INTERACTS]-(b:Customer) WHERE a.id <> b.id AND NOT (a)-[:HOT_INTERACTS]-(b) RETURN a.id AS a, b.id AS b, count(DISTINCT m) AS mutual ORDER BY mutual DESC, a, b LIMIT 20",
-        f"""WITH {HOT_BOTH}, buyers AS (SELECT DISTINCT o_custkey AS id FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_partkey < 20)
-            SELECT x.src AS a, y.dst AS b, count(DISTINCT x.dst) AS mutual FROM hu x JOIN hu y ON x.dst = y.src AND x.id <> y.id WHERE x.src IN (FROM buyers) AND x.src <> y.dst AND NOT EXISTS (SELECT 1 FROM hu z WHERE z.src = x.src AND z.dst = y.dst) GROUP BY 1, 2 ORDER BY mutual DESC, a, b LIMIT 20""",
+        """MATCH (:Part {id: 42})<-[:CONTAINS]-(:Order)<-[:PLACED]-(a:Customer) WITH DISTINCT a
+           MATCH (a)-[:INTERACTS]-(m:Customer)-[:INTERACTS]-(b:Customer) WHERE a.id <> b.id AND NOT (a)-[:INTERACTS]-(b)
+           RETURN a.id AS a, b.id AS b, count(DISTINCT m) AS mutual ORDER BY mutual DESC, a, b LIMIT 20""",
+        f"""WITH {NB}, {_P42}
+            SELECT x.src AS a, y.dst AS b, count(DISTINCT x.dst) AS mutual FROM nb x JOIN nb y ON x.dst = y.src WHERE x.src IN (SELECT id FROM b42) AND x.src <> y.dst AND NOT EXISTS (SELECT 1 FROM nb z WHERE z.src = x.src AND z.dst = y.dst) GROUP BY 1, 2 ORDER BY mutual DESC, a, b LIMIT 20""",
     ),
 }
 
