@@ -7,6 +7,7 @@ from enum import Enum
 from typing import Any, assert_never
 
 from hopframe.emit.functions import BINARY, FUNCTIONS
+from hopframe.emit.kinds import integral, textual
 from hopframe.lang import ast as A
 from hopframe.plan import rel as R
 
@@ -89,11 +90,11 @@ class Writer:
             case A.Call("in", (item, source)):
                 return self.call("member", [x(item), x(source)])
             case A.Call("/", (a, b)):
-                if self.integral(a) and self.integral(b):
+                if integral(a) and integral(b):
                     return f"({x(a)} DIV nullif({x(b)}, 0))" if self.dialect is Dialect.SPARK else f"({x(a)} // nullif({x(b)}, 0))"
                 return f"(CAST({x(a)} AS DOUBLE) / nullif(CAST({x(b)} AS DOUBLE), 0))"
             case A.Call("+", (a, b)):
-                return f"({x(a)} + {x(b)})" if not self.textual(a) and not self.textual(b) else f"concat({x(a)}, {x(b)})" if self.dialect is Dialect.SPARK else f"({x(a)} || {x(b)})"
+                return f"({x(a)} + {x(b)})" if not textual(a) and not textual(b) else f"concat({x(a)}, {x(b)})" if self.dialect is Dialect.SPARK else f"({x(a)} || {x(b)})"
             case A.Call("index", (source, i)):
                 place = f"CASE WHEN {x(i)} >= 0 THEN {x(i)} + 1 ELSE {x(i)} END" if not isinstance(i, A.Lit) else str(i.value + 1 if i.value >= 0 else i.value)
                 return f"try_element_at({x(source)}, {place})" if self.dialect is Dialect.SPARK else f"list_extract({x(source)}, {place})"
@@ -112,7 +113,7 @@ class Writer:
                 rest = f", {x(args[2])}" if len(args) > 2 else ""
                 return f"substring({x(args[0])}, {x(args[1])} + 1{rest})"
             case A.Call("size" | "length", (a,)):
-                return self.call("charlength" if self.textual(a) else "listlength", [x(a)])
+                return self.call("charlength" if textual(a) else "listlength", [x(a)])
             case A.Call(name, (a, b)) if name in BINARY:
                 return f"({x(a)} {BINARY[name]} {x(b)})"
             case A.Call(name, args, distinct):
@@ -140,30 +141,6 @@ class Writer:
         whole = f"{'size' if spark else 'len'}({source})"
         return {"any": f"({hits} > 0)", "all": f"({hits} = {whole})", "none": f"({hits} = 0)", "single": f"({hits} = 1)"}[e.kind]
 
-    @staticmethod
-    def integral(e: Any) -> bool:
-        match e:
-            case A.Lit(value):
-                return isinstance(value, int)
-            case A.Call("count" | "size" | "length" | "tointeger", _):
-                return True
-            case A.Call("+" | "-" | "*", args):
-                return all(Writer.integral(a) for a in args)
-        return False
-
-    @staticmethod
-    def textual(e: Any) -> bool:
-        match e:
-            case A.Lit(value):
-                return isinstance(value, str)
-            case A.Call("tostring" | "toupper" | "tolower" | "substring" | "trim" | "replace" | "left" | "right", _):
-                return True
-            case A.Call("+", args):
-                return any(Writer.textual(a) for a in args)
-            case R.Col(_, name):
-                return name.rsplit("__", 1)[-1] in ("name", "text", "url", "role", "type", "brand", "segment", "status", "priority", "lang", "source", "kind", "html") or name in ("text", "html", "url")
-        return False
-
     # --- plans
     def rel(self, rel: R.Rel) -> str:
         match rel:

@@ -7,6 +7,7 @@ import re
 from dataclasses import dataclass
 from typing import Any
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -59,6 +60,7 @@ class GraphSession:
         self.spark, self.gmap, self.source = spark, gmap or GraphMap.commerce(), source
         self.stats: dict[str, int] = {}
         self._tables: dict[str, DataFrame] = {}
+        self._kinds: dict[tuple[str, str], str | None] = {}
 
     @staticmethod
     def local(source: str, gmap: GraphMap | None = None) -> GraphSession:
@@ -71,8 +73,19 @@ class GraphSession:
             self._tables[name] = self.spark.read.parquet(f"{self.source}/{name}.parquet") if self.source and name in TABLES else self.spark.table(name)
         return self._tables[name]
 
+    def kind(self, table: str, column: str) -> str | None:
+        """Whether a table's column holds whole numbers, text or something else; None where the table cannot be seen."""
+        if (table, column) not in self._kinds:
+            try:
+                name = next((f.dataType.typeName() for f in self.table(table).schema.fields if f.name == column), None)
+            except AnalysisException:
+                name = None
+            self._kinds[table, column] = None if name is None else "integer" if name in ("byte", "short", "integer", "long") else "text" if name == "string" else "other"
+        return self._kinds[table, column]
+
     def use(self, name: str, df: DataFrame) -> None:
         """Puts a DataFrame in the place of a table."""
+        self._kinds = {k: v for k, v in self._kinds.items() if k[0] != name}
         self._tables[name] = df
 
     def analyze(self) -> dict[str, int]:
@@ -82,7 +95,7 @@ class GraphSession:
         return self.stats
 
     def compiled(self, text: str, **params: Any) -> tuple[Compiler, R.Rel]:
-        compiler = Compiler(self.gmap, params, self.stats)
+        compiler = Compiler(self.gmap, params, self.stats, self.kind)
         return compiler, compiler.query(parse(text))
 
     def cypher(self, text: str, **params: Any) -> DataFrame:

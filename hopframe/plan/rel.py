@@ -12,6 +12,7 @@ class Col:
 
     alias: str
     name: str
+    kind: str | None = field(default=None, compare=False)  # 'integer', 'text' or 'other', where it is known
 
 
 @dataclass(frozen=True)

@@ -130,3 +130,13 @@ def test_unknown_property_is_null_and_a_lost_one_an_error(spark):
 
     with pytest.raises(PlanError):
         compiler.expr(A.Prop(A.Var("a"), "name"), Scope(None, {"a": NodeB(("a__k0",), {}, ("V",))}))
+
+
+def test_operators_go_by_column_types(spark):
+    g = graph(spark, LINE)
+    g.use("v", spark.createDataFrame([(7, "x")], "k long, name string"))
+    text = GraphMap.from_dict({"graph": "t", "nodes": {"V": {"access": "own", "table": "v", "key": ["k"], "props": {"id": "k", "tag": "name"}}}, "edges": {}})
+    h = GraphSession(spark, text)
+    h.use("v", g.table("v"))
+    row = h.cypher("MATCH (a:V) WHERE a.tag + a.tag = 'xx' WITH a, a.id AS n, a.tag AS t RETURN n / 4 AS q, a.id / 2 AS p, t + a.tag AS s, (n + 1) / 3 AS r, a.id / 2.0 AS d").first()
+    assert (row.q, row.p, row.s, row.r, row.d) == (1, 3, "xx", 2, 3.5)
