@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from hashlib import blake2b
 
 import numpy as np
@@ -56,6 +57,22 @@ def fold(doc_id: str = "doc_id", of: int = 4):
     return F.crc32(F.col(doc_id).cast("string").cast("binary")) % of
 
 
+def trimmed(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``run`` for mapInArrow, after which the worker, which Spark keeps for later tasks, hands freed memory back."""
+
+    def call(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (OSError, AttributeError):  # not with this C library
+                pass
+
+    return call
+
+
 # --- text kernels ---------------------------------------------------------------------------
 
 
@@ -170,7 +187,7 @@ def binary_column(values: list[bytes]) -> pa.Array:
 class Remembered(dict):
     """Results of ``compute`` by word, in two generations: words in use stay when the older ones go."""
 
-    def __init__(self, compute, generation: int = 180_000, longest: int = 64):
+    def __init__(self, compute, generation: int = 100_000, longest: int = 64):
         super().__init__()
         self.compute, self.generation, self.longest, self.old = compute, generation, longest, {}
 

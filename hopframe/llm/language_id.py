@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from hopframe.llm.common import text_chunks
+from hopframe.llm.common import text_chunks, trimmed
 
 FEATURES = 1 << 15
 SMOOTHING = 0.5
@@ -96,7 +96,7 @@ def fitted(docs: DataFrame, usable: Column, text_col: str = "text", lang_col: st
     share = F.create_map(*[F.lit(x) for k, n in sizes.items() for x in (k, min(1.0, per_language / n))])
     place = F.pmod(F.xxhash64(F.lit("sample"), text_col), F.lit(1_000_003)) / 1_000_003.0
     sample = labelled.where(place < share[F.col(lang_col)]).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
-    counted = sample.mapInArrow(_counts, "lang string, feature long, n long").groupBy("lang", "feature").agg(F.sum("n").alias("n")).toPandas()
+    counted = sample.mapInArrow(trimmed(_counts), "lang string, feature long, n long").groupBy("lang", "feature").agg(F.sum("n").alias("n")).toPandas()
     languages = sorted(sizes)
     matrix = np.full((FEATURES, len(languages)), SMOOTHING)
     matrix[counted["feature"].to_numpy(np.int64), counted["lang"].map({k: i for i, k in enumerate(languages)}).to_numpy(np.int64)] += counted["n"].to_numpy(float)
@@ -132,5 +132,5 @@ def identified(docs: DataFrame, languages: list[str], matrix: np.ndarray, id_col
     chosen = [F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *(F.col(c).alias(f"kept_{i}") for i, c in enumerate(keep))]
     slim = docs.select(*chosen)
     extra = "".join(f", kept_{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep))
-    out = slim.mapInArrow(run, f"doc_id long, lang_pred string, score double{extra}")
+    out = slim.mapInArrow(trimmed(run), f"doc_id long, lang_pred string, score double{extra}")
     return out.select("doc_id", "lang_pred", "score", *(F.col(f"kept_{i}").alias(c) for i, c in enumerate(keep)))

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from hopframe.llm.common import lowered, mixed, staged, text_chunks, window_hashes, word_hashes, word_spans
+from hopframe.llm.common import lowered, mixed, staged, text_chunks, trimmed, window_hashes, word_hashes, word_spans
 from hopframe.llm.components import components
 
 REGISTERS = 256
@@ -230,7 +230,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     slim = slim.select("doc_id", F.coalesce("doc_id", F.xxhash64("text")).alias("key"), "text")
-    sketched = slim.mapInArrow(_sketches(width, band_rows(percent)), "doc_id long, key long, n long, f1 long, f2 long, bands array<long>")
+    sketched = slim.mapInArrow(trimmed(_sketches(width, band_rows(percent))), "doc_id long, key long, n long, f1 long, f2 long, bands array<long>")
     seen = staged(sketched.withColumn("row", F.monotonically_increasing_id()))
     classes = seen.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("least"), F.min("row").alias("row"), F.min("key").alias("key"), F.first("bands").alias("bands"))
     classes = staged(classes.withColumn("rep", F.monotonically_increasing_id()))
@@ -242,7 +242,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     members = staged(rows.join(shared, ["band", "key"], "left_semi"))
     candidates = classes.join(members.select("rep").distinct(), "rep", "left_semi").select("key", "rep", F.col("f1").alias("want1"), F.col("f2").alias("want2"))
     texts = slim.select("key", "text").join(candidates, "key").select("rep", "text", "want1", "want2")
-    sets = staged(texts.mapInArrow(_full_sets(width), "rep long, n long, regs array<int>, grams array<long>").dropDuplicates(["rep"]))
+    sets = staged(texts.mapInArrow(trimmed(_full_sets(width)), "rep long, n long, regs array<int>, grams array<long>").dropDuplicates(["rep"]))
 
     able = sets.select("rep", "n")
     for _ in range(UNIQUE_ROUNDS):  # who leaves makes more shingles unique among those who stay

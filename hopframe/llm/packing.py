@@ -12,7 +12,7 @@ from __future__ import annotations
 import json
 import zlib
 from collections.abc import Iterator
-from functools import lru_cache
+from functools import cached_property, lru_cache
 
 import numpy as np
 import pandas as pd
@@ -21,7 +21,7 @@ import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hopframe.llm.common import staged
+from hopframe.llm.common import staged, trimmed
 
 CAPACITY = 1024
 END_ID = 2
@@ -85,11 +85,17 @@ class JsonTokenizer:
     """
 
     def __init__(self, path: str, pattern: str):
+        self.path = path
+        self.fast = self._ranked(path, pattern)
+
+    @cached_property
+    def library(self):
+        """The library's own tokenizer, some 100 MB, where it is needed."""
         from tokenizers import Tokenizer
 
-        self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True  # the special strings are ordinary text
-        self.fast = self._ranked(path, pattern)
+        own = Tokenizer.from_file(self.path)
+        own.encode_special_tokens = True  # the special strings are ordinary text
+        return own
 
     @staticmethod
     def _ranked(path: str, pattern: str) -> tiktoken.Encoding | None:
@@ -152,7 +158,7 @@ def tokenised_pieces(docs: DataFrame, tokenizer_path: str, pattern: str, id_col:
     ``pattern`` must cut a text as the tokenizer's own pre-tokenizer does.
     """
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return slim.mapInArrow(_pieces(tokenizer_path, pattern, capacity, end_id), "doc_id long, piece long, start long, length long, ids_crc32 long")
+    return slim.mapInArrow(trimmed(_pieces(tokenizer_path, pattern, capacity, end_id)), "doc_id long, piece long, start long, length long, ids_crc32 long")
 
 
 def packed(pieces: DataFrame, capacity: int = CAPACITY, block_rows: int = BLOCK_ROWS) -> DataFrame:

@@ -24,7 +24,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hopframe.llm.common import mixed, row_chunks, staged, string_buffers, text_chunks, window_hashes, word_codes, word_hashes, word_spans
+from hopframe.llm.common import mixed, row_chunks, staged, string_buffers, text_chunks, trimmed, window_hashes, word_codes, word_hashes, word_spans
 
 WINDOW = 35
 GRAM = 6
@@ -291,21 +291,21 @@ def without_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, id_
     doc_id, text = F.col(id_col).cast("long"), F.col(text_col).cast("string")
     row = [F.coalesce(doc_id, F.lit(0)).alias("id"), F.xxhash64(doc_id.isNull(), text).alias("print")]
     slim = docs.select(*row, text.alias("text"))
-    minis = slim.mapInArrow(_minimisers(window, gram), "mini long, id long, print long, times int")
+    minis = slim.mapInArrow(trimmed(_minimisers(window, gram)), "mini long, id long, print long, times int")
     often = minis.groupBy("mini").agg(F.sum("times").alias("n")).where("n > 1")
     common = minis.drop("times").join(often, "mini").groupBy("id", "print").agg(F.collect_set(F.struct("mini", F.ceil(F.col("n") / part_rows).cast("int").alias("parts"))).alias("minis"))
-    small = slim.mapInArrow(_compressed, "id long, print long, text binary")
-    strings = small.join(common, ["id", "print"]).mapInArrow(_packed(window, gram), "mini long, parts int, id long, print long, begin long, words binary")
+    small = slim.mapInArrow(trimmed(_compressed), "id long, print long, text binary")
+    strings = small.join(common, ["id", "print"]).mapInArrow(trimmed(_packed(window, gram)), "mini long, parts int, id long, print long, begin long, words binary")
     part = F.pmod(F.xxhash64("id", "print", "begin"), F.col("parts")).cast("int")
     buckets = strings.withColumn("part", part).repartition("mini", "part").sortWithinPartitions("mini", "part")
-    told = staged(buckets.mapInArrow(_counted(window), "id long, print long, low long, high long, one long, two long"))
+    told = staged(buckets.mapInArrow(trimmed(_counted(window)), "id long, print long, low long, high long, one long, two long"))
     loose = told.where("one is not null")
     twice = loose.groupBy("one", "two").agg(F.count("*").alias("n")).where("n > 1")
     across = loose.where("id is not null").join(twice, ["one", "two"], "left_semi")
     spans = told.where("one is null").unionByName(across).groupBy("id", "print").agg(F.collect_set(F.struct("low", "high")).alias("spans"))
     own = [F.col(c).alias(f"kept_{i}") for i, c in enumerate(keep)]
     extra = "".join(f", kept_{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep))
-    wide = docs.select(*row, text.alias("text"), doc_id.alias("doc_id"), *own).mapInArrow(_compressed, f"id long, print long, text binary, doc_id long{extra}")
+    wide = docs.select(*row, text.alias("text"), doc_id.alias("doc_id"), *own).mapInArrow(trimmed(_compressed), f"id long, print long, text binary, doc_id long{extra}")
     found = wide.join(spans, ["id", "print"], "left").select("id", "doc_id", "text", "spans", *(f"kept_{i}" for i in range(len(keep))))
-    found = found.mapInArrow(_cleaned, f"doc_id long, n_words long, n_removed long, kept string{extra}")
+    found = found.mapInArrow(trimmed(_cleaned), f"doc_id long, n_words long, n_removed long, kept string{extra}")
     return found.select("doc_id", "n_words", "n_removed", "kept", *(F.col(f"kept_{i}").alias(c) for i, c in enumerate(keep)))
