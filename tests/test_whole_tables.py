@@ -22,6 +22,6 @@ def test_whole_table_queries(spark):
 def test_vertex_programs_over_all_events(spark):
     events = rows(spark, "events").selectExpr("user_id AS a", "CAST(get_json_object(props, '$.k') AS BIGINT) AS b")
     nodes = events.select("a").union(events.select("b")).distinct().count()
-    for name in ("algo_pagerank_all", "algo_wcc_all"):
+    for name in ("algo_pagerank", "algo_wcc"):
         assert QUERIES[name](spark, SF_DIR).count() == nodes
-    assert QUERIES["algo_sssp_all"](spark, SF_DIR).where("t0 <> 7 and hops = 1").count() == events.where("a = 7 and b <> 7").select("b").distinct().count()
+    assert QUERIES["algo_sssp"](spark, SF_DIR).where("t0 <> 7 and hops = 1").count() == events.where("a = 7 and b <> 7").select("b").distinct().count()
