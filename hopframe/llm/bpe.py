@@ -24,8 +24,8 @@ from pyspark.sql import functions as F
 
 from hopframe.llm.common import Remembered
 
-#: token pairs whose compatibility is remembered, some 30 MB in a worker
-PAIRS_KEPT = 250_000
+#: token pairs whose compatibility is remembered, some 100 MB in a worker
+PAIRS_KEPT = 1_000_000
 
 
 class BytePairCoder:
