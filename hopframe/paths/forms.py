@@ -12,7 +12,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from hopframe.exec.staging import staged
+from hopframe.exec.staging import dropped, replaced, staged
 
 #: rounds of a trail enumeration without an upper bound
 TRAIL_ROUNDS = 64
@@ -282,11 +282,12 @@ def doubling(link: DataFrame, seeds: DataFrame, keys: int = 1, lo: int = 0, hi:
         on = _equal(t, [f"f{i}" for i in range(keys)])
         more = staged(found.join(up, on).select(*s, *(F.col(f"g{i}").alias(b) for i, b in enumerate(t)), (F.col("hops") + near).alias("hops")))
         if more.isEmpty():
+            dropped(more)
             break
         if near >= 1 << 30:
             raise PathLimit("the link is no forest: a path runs in a circle")
-        found = staged(found.unionByName(more))
-        jump = staged(jump.join(up, on).select(*s, *(F.col(f"g{i}").alias(b) for i, b in enumerate(t))))
+        found = replaced(found.unionByName(more), found, more)
+        jump = replaced(jump.join(up, on).select(*s, *(F.col(f"g{i}").alias(b) for i, b in enumerate(t))), jump)
         near *= 2
     kept = found.where(F.col("hops") >= lo)
     return kept if hi is None else kept.where(F.col("hops") <= hi)
@@ -346,7 +347,7 @@ def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str
     goal = target.select("t0").distinct()
     if weight is None:
         level = staged(source.select("s0").distinct().select("s0", F.col("s0").alias("t0"), F.lit(0).cast("double").alias("cost"), F.lit(1).cast("long").alias("paths")))
-        done = level
+        done, before = level, level
         for depth in range(1, most + 2):
             near = level.join(edges.select(F.col("s0").alias("t0"), F.col("t0").alias("next")), "t0").groupBy("s0", F.col("next").alias("t0")).agg(F.sum("paths").alias("paths"))
             level = staged(near.join(done.select("s0", "t0"), ["s0", "t0"], "left_anti").select("s0", "t0", F.lit(float(depth)).alias("cost"), "paths"))
@@ -354,7 +355,9 @@ def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str
                 break
             if depth > most:
                 raise limit
-            done = staged(done.unionByName(level))
+            done = replaced(done.unionByName(level), done, before)  # both tables of the round before
+            before = level
+        dropped(level)
         return done.join(goal, "t0").select("s0", "t0", "cost", "paths")
     own = F.lit(0).cast(source.schema["s0"].dataType) if together else F.col("s0")
     best = staged(source.select("s0").distinct().select(own.alias("s0"), F.col("s0").alias("t0"), F.lit(0.0).alias("cost"), F.lit(True).alias("moved")))
@@ -362,7 +365,7 @@ def shortest(link: DataFrame, source: DataFrame, target: DataFrame, weight: str
     for depth in range(1, most + 2):
         reached = best.where("moved").join(hop, "t0").select("s0", F.col("next").alias("t0"), (F.col("cost") + F.col("w")).alias("cost"), F.lit(None).cast("double").alias("was"))
         both = best.select("s0", "t0", "cost", F.col("cost").alias("was")).unionByName(reached)
-        best = staged(both.groupBy("s0", "t0").agg(F.min("cost").alias("cost"), F.min("was").alias("was")).select("s0", "t0", "cost", (F.col("was").isNull() | (F.col("cost") < F.col("was"))).alias("moved")))
+        best = replaced(both.groupBy("s0", "t0").agg(F.min("cost").alias("cost"), F.min("was").alias("was")).select("s0", "t0", "cost", (F.col("was").isNull() | (F.col("cost") < F.col("was"))).alias("moved")), best)
         if best.where("moved").isEmpty():
             break
         if depth > most:

@@ -2,16 +2,11 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-
-def shared_path(spark: SparkSession) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_stage"
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
+from hopframe.exec.staging import shared_path
 
 
 def round_trip(df: DataFrame, kind: str, schema: StructType | None = None, **options: str) -> DataFrame:

@@ -11,12 +11,12 @@ def rows(spark, name):
 
 def test_whole_table_queries(spark):
     orders, customers = rows(spark, "orders"), rows(spark, "customer")
-    got = QUERIES["join_full_whole"](spark, SF_DIR)
+    got = QUERIES["join_full"](spark, SF_DIR)
     assert got.where("o_orderkey is not null").count() == orders.count()
     assert got.where("c_custkey is not null").select("c_custkey").distinct().count() == customers.count()
-    assert QUERIES["agg_collect_list_whole"](spark, SF_DIR).count() == orders.select("o_custkey").distinct().count()
-    assert QUERIES["arr_explode_pos_whole"](spark, SF_DIR).select("vec_id").distinct().count() == rows(spark, "embeddings").count()
-    assert QUERIES["sort_multi_nulls_whole"](spark, SF_DIR).count() == rows(spark, "labels").count()
+    assert QUERIES["agg_collect_list"](spark, SF_DIR).count() == orders.select("o_custkey").distinct().count()
+    assert QUERIES["arr_explode_pos"](spark, SF_DIR).select("vec_id").distinct().count() == rows(spark, "embeddings").count()
+    assert QUERIES["sort_multi_nulls"](spark, SF_DIR).count() == rows(spark, "labels").count()
 
 
 def test_vertex_programs_over_all_events(spark):
