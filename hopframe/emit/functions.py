@@ -38,6 +38,7 @@ FUNCTIONS: dict[str, str | tuple[str, str]] = {
     "sign": "CAST(sign({0}) AS BIGINT)",
     "pi": "pi()",
     "e": f"CAST({math.e!r} AS DOUBLE)",
+    "as long": "CAST({0} AS BIGINT)",
     "tointeger": ("CAST(try_cast({0} AS DOUBLE) AS BIGINT)", "CAST(trunc(TRY_CAST({0} AS DOUBLE)) AS BIGINT)"),
     "tofloat": "try_cast({0} AS DOUBLE)",
     "tostring": ("CAST({0} AS STRING)", "CAST({0} AS VARCHAR)"),

@@ -19,6 +19,9 @@ from hopframe.paths import forms
 from hopframe.plan import rel as R
 from hopframe.plan.compile import Compiler, walk
 
+#: row counts by application, source and table; they decide the order of joins only
+_ROWS: dict[tuple[str, str, str], int] = {}
+
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 
@@ -60,6 +63,7 @@ class GraphSession:
         self.spark, self.gmap, self.source = spark, gmap or GraphMap.commerce(), source
         self.stats: dict[str, int] = {}
         self._tables: dict[str, DataFrame] = {}
+        self._used: set[str] = set()  # names that stand for other tables than the source's
         self._kinds: dict[tuple[str, str], str | None] = {}
 
     @staticmethod
@@ -87,6 +91,7 @@ class GraphSession:
         """Puts a DataFrame in the place of a table."""
         self._kinds = {k: v for k, v in self._kinds.items() if k[0] != name}
         self._tables[name] = df
+        self._used.add(name)
 
     def analyze(self) -> dict[str, int]:
         """Row counts of all mapped tables, which anchors are then chosen by. Reads Parquet footers only."""
@@ -94,8 +99,19 @@ class GraphSession:
         self.stats = {n: self.table(n).count() for n in sorted(names)}
         return self.stats
 
+    def rows(self, name: str) -> int | None:
+        """A table's row count from Parquet footers, read once for an application; None for other tables not analysed."""
+        if name in self.stats:
+            return self.stats[name]
+        if not self.source or name not in TABLES or name in self._used:
+            return None
+        place = (self.spark.conf.get("spark.app.id"), self.source, name)
+        if place not in _ROWS:
+            _ROWS[place] = self.table(name).count()
+        return _ROWS[place]
+
     def compiled(self, text: str, **params: Any) -> tuple[Compiler, R.Rel]:
-        compiler = Compiler(self.gmap, params, self.stats, self.kind)
+        compiler = Compiler(self.gmap, params, self.stats, self.kind, self.rows)
         return compiler, compiler.query(parse(text))
 
     def cypher(self, text: str, **params: Any) -> DataFrame:

@@ -1,6 +1,7 @@
 """Classification, plan shape, structure of the code, and catalog tools."""
 
 import ast
+from itertools import permutations
 from pathlib import Path
 
 import pytest
@@ -11,7 +12,7 @@ from hopframe.catalog.discover import propose
 from hopframe.catalog.model import EdgeAccess, EdgeMap, End, NodeAccess, NodeMap
 from hopframe.catalog.validate import validate
 from hopframe.exec.session import GraphSession
-from hopframe.graphopt.order import HopStats, connected_orders, cost_of, order_hops
+from hopframe.graphopt.order import cost_of, order_joins
 from hopframe.measure.measures import parity, plan_shape
 from hopframe.plan.profile import Strategy, classify_hop
 
@@ -132,8 +133,11 @@ def test_naive_shared_row_is_wrong(spark):
     assert GraphSession(spark, uncoupled(g.gmap), g.source).cypher(q).first().n > 100_000
 
 
-def test_hop_order_is_the_cheapest():
-    hops = [HopStats(1000, 2, 5), HopStats(10, 0.5, 3), HopStats(5000, 9, 1), HopStats(200, 1, 1)]
-    for keep in ({}, {0: 0.01}, {2: 0.1, 4: 0.5}):
-        best = order_hops(hops, keep)
-        assert cost_of(hops, keep, best) == pytest.approx(min(cost_of(hops, keep, o) for o in connected_orders(4)))
+def test_join_order_is_the_cheapest():
+    rows = {"a": 1000.0, "b": 10.0, "c": 5000.0, "d": 200.0, "e": 3.0}
+    links = {frozenset("ab"): 0.1, frozenset("bc"): 0.001, frozenset("cd"): 0.005, frozenset("ae"): 0.5, frozenset("de"): 0.3}
+    for keep in ({}, {"a": 0.01}, {"c": 0.1, "e": 0.5}):
+        kept = {n: r * keep.get(n, 1.0) for n, r in rows.items()}
+        linked = [o for o in permutations(kept) if all(any(frozenset({x, y}) in links for x in o[:k]) for k, y in enumerate(o) if k)]
+        assert cost_of(order_joins(kept, links), kept, links) == pytest.approx(min(cost_of(list(o), kept, links) for o in linked))
+    assert set(order_joins({"a": 1.0, "b": 2.0, "c": 3.0}, {frozenset("bc"): 0.1})) == {"a", "b", "c"}
