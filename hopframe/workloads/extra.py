@@ -12,7 +12,7 @@ from hopframe.graphopt import factor, triangles
 from hopframe.measure.measures import plan_shape
 from hopframe.paths import forms
 from hopframe.workloads import patterns, snb
-from hopframe.workloads.base import BOTH, HOT, HOT_BOTH, NB, TOUCH, Runner
+from hopframe.workloads.base import BOTH, HOT, HOT_BOTH, NB, TOUCH, Runner, Workload
 
 
 def session(spark: SparkSession, sf_dir: str) -> GraphSession:
@@ -394,3 +394,27 @@ EXTRA: dict[str, tuple[Runner, str | None]] = {
     "mode_materialize": (materialized, "SELECT n_name AS nation, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA' GROUP BY 1"),
     "measure_plan_shape": (shapes, "SELECT * FROM (VALUES ('InRowScan', 0), ('EdgeChain', 1), ('HalfInRow', 1), ('KeyHop', 1), ('TripleJoin', 2), ('SharedRow', 0)) v(strategy, joins)"),
 }
+
+#: counts that the compiler takes without expanding, and path procedures
+COMPILED = {
+    "count_chain_3hop": Workload(
+        "MATCH (a:Account)-[:TOUCHED]->(b)-[:TOUCHED]->(c)-[:TOUCHED]->(d) RETURN count(*) AS n",
+        f"WITH {TOUCH} SELECT count(*) AS n FROM touch x JOIN touch y ON x.dst = y.src JOIN touch z ON y.dst = z.src WHERE x.id <> y.id AND y.id <> z.id AND x.id <> z.id",
+    ),
+    "count_star_orders_clicks": Workload(
+        "MATCH (c:Customer)-[:PLACED]->(o:Order)-[:CONTAINS]->(p:Part), (c)-[:INTERACTS]->(d) RETURN count(*) AS n",
+        f"""WITH {TOUCH} SELECT count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey
+            JOIN customer a ON o_custkey = a.c_custkey JOIN touch ON src = a.c_custkey JOIN customer b ON dst = b.c_custkey""",
+    ),
+    "proc_reachable": Workload(
+        "CALL path.reachable('Account', 7, 'HOT_CLICK', 4) YIELD id, hops RETURN id, hops",
+        f"""WITH RECURSIVE {HOT}, w AS (SELECT dst AS id, 1 AS d FROM hot WHERE src = 7 UNION SELECT dst, d + 1 FROM w JOIN hot ON w.id = src WHERE d < 4)
+            SELECT id, min(d) AS hops FROM w GROUP BY 1""",
+    ),
+    "proc_distance": Workload(
+        "CALL path.distance('Customer', 7, 8, 'INTERACTS', 5) YIELD hops AS far RETURN far",
+        f"""WITH RECURSIVE {TOUCH}, e AS (SELECT DISTINCT src, dst FROM touch), w AS (SELECT dst AS id, 1 AS d FROM e WHERE src = 7 UNION SELECT dst, d + 1 FROM w JOIN e ON id = src WHERE d < 5)
+            SELECT min(d) AS far FROM w WHERE id = 8 HAVING count(*) > 0""",
+    ),
+}
+EXTRA |= {k: (w, w.oracle) for k, w in COMPILED.items()}
