@@ -23,6 +23,8 @@ SMOOTHING = 0.5
 #: labelled rows of each language from which the model is learned, at most about this many
 SAMPLE_PER_LANGUAGE = 2500
 UNKNOWN = "und"
+#: bytes of text whose n-grams are held at once; a byte takes some 180 of a worker while it is counted
+GRAM_BYTES = 1 << 18
 
 
 @lru_cache(maxsize=1)
@@ -74,7 +76,7 @@ def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held: dict[str, np.ndarray] = {}
     for batch in batches:
         languages = np.array(batch.column(0).to_pylist(), object)
-        for low, high, data, offsets in text_chunks(batch.column(1)):
+        for low, high, data, offsets in text_chunks(batch.column(1), GRAM_BYTES):
             features, rows = hashed_grams(*_characters(data, offsets))
             for language in set(languages[low:high]):
                 own = features[(languages[low:high] == language)[rows]]
@@ -115,7 +117,7 @@ def identified(docs: DataFrame, languages: list[str], matrix: np.ndarray, id_col
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names, weights = model.value
         for batch in batches:
-            for low, high, data, offsets in text_chunks(batch.column(1), 1 << 20):
+            for low, high, data, offsets in text_chunks(batch.column(1), GRAM_BYTES):
                 folded, row = _characters(data, offsets)
                 features, rows = hashed_grams(folded, row)
                 total = np.stack([np.bincount(rows, weights[features, k], minlength=high - low) for k in range(len(names))], axis=1) if names else np.zeros((high - low, 0))
