@@ -1,5 +1,7 @@
 """Queries that made their data up read a given table."""
 
+from datetime import datetime
+
 import duckdb
 import pytest
 
@@ -8,7 +10,7 @@ from hopframe.workloads.registry import ORACLES, QUERIES
 SF_DIR = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name, table", [("arr_set_ops", "embeddings")])
+@pytest.mark.parametrize("name, table", [("arr_set_ops", "embeddings"), ("cte_recursive", "orders")])
 def test_reads_a_given_table(spark, name, table):
     got = QUERIES[name](spark, SF_DIR)
     assert got.count() > 0
@@ -27,3 +29,12 @@ def test_arrays_with_odd_components(spark, tmp_path):
     rows = [(1, [0.5, -0.04, nan, inf, 0.05]), (2, None), (3, []), (4, [None, 0.1] * 32), (5, [nan if i % 11 == 0 else (i % 9) / 10 - 0.3 for i in range(70)]), (6, [-0.0] * 32 + [0.0] * 32)]
     spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
     same(spark, tmp_path, "arr_set_ops", "embeddings")
+
+
+def test_recursion_over_missing_years(spark, tmp_path):
+    """Years without orders and orders without a date do not end it."""
+    years = [None, None, 1990, 1992, 1992, 1850]
+    rows = [(i, y and datetime(y, 7, 1)) for i, y in enumerate(years)]
+    spark.createDataFrame(rows, "o_orderkey long, o_orderdate timestamp").write.parquet(str(tmp_path / "orders.parquet"))
+    assert QUERIES["cte_recursive"](spark, str(tmp_path)).count() == 4
+    same(spark, tmp_path, "cte_recursive", "orders")
