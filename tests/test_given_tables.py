@@ -10,7 +10,7 @@ from hopframe.workloads.registry import ORACLES, QUERIES
 SF_DIR = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name, table", [("arr_set_ops", "embeddings"), ("cte_recursive", "orders")])
+@pytest.mark.parametrize("name, table", [("arr_set_ops", "embeddings"), ("cte_recursive", "orders"), ("ds_graphmap", "events")])
 def test_reads_a_given_table(spark, name, table):
     got = QUERIES[name](spark, SF_DIR)
     assert got.count() > 0
@@ -38,3 +38,11 @@ def test_recursion_over_missing_years(spark, tmp_path):
     spark.createDataFrame(rows, "o_orderkey long, o_orderdate timestamp").write.parquet(str(tmp_path / "orders.parquet"))
     assert QUERIES["cte_recursive"](spark, str(tmp_path)).count() == 4
     same(spark, tmp_path, "cte_recursive", "orders")
+
+
+def test_catalog_rows_and_types_without_events(spark, tmp_path):
+    events = spark.read.parquet(f"{SF_DIR}/events.parquet")
+    events.where("event_type in ('click', 'error')").write.parquet(str(tmp_path / "events.parquet"))
+    same(spark, tmp_path, "ds_graphmap", "events")
+    counted = spark.read.format("graphmap").load().groupBy("kind", "access").count()
+    assert {tuple(r) for r in counted.collect()} == {("node", "own", 11), ("node", "inlined", 3), ("node", "implied", 5), ("edge", "key", 9), ("edge", "separate", 10), ("edge", "typed", 9)}
